@@ -29,6 +29,12 @@ def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_decode(table(spark, sf_dir, "documents"), bpe_path())
 
 
+def op4_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import html_extract
+
+    return html_extract.extract_pages(table(spark, sf_dir, "pages"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import packing
 
@@ -41,12 +47,20 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), bpe_path(), limit=1024, end_id=2)
 
 
+def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import simhash
+
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"), size=3, distance=2)
+
+
 def queries() -> dict[str, Query]:
     return {
         "op1_top_k": op1_top_k,
         "op3_bpe": op3_bpe,
+        "op4_html": op4_html,
         "op6_token_counts": op6_token_counts,
         "op7_best_fit_packing": op7_best_fit_packing,
+        "op9_simhash": op9_simhash,
     }
 
 
