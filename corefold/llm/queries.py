@@ -47,6 +47,13 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), bpe_path(), limit=1024, end_id=2)
 
 
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import quality
+
+    judged = quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), keep_text=False)
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "failed_rules")
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import simhash
 
@@ -60,6 +67,7 @@ def queries() -> dict[str, Query]:
         "op4_html": op4_html,
         "op6_token_counts": op6_token_counts,
         "op7_best_fit_packing": op7_best_fit_packing,
+        "op8_quality": op8_quality,
         "op9_simhash": op9_simhash,
     }
 
