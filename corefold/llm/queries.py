@@ -35,6 +35,12 @@ def op4_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract_pages(table(spark, sf_dir, "pages"))
 
 
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import licenses
+
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import packing
 
@@ -65,6 +71,7 @@ def queries() -> dict[str, Query]:
         "op1_top_k": op1_top_k,
         "op3_bpe": op3_bpe,
         "op4_html": op4_html,
+        "op5_licenses": op5_licenses,
         "op6_token_counts": op6_token_counts,
         "op7_best_fit_packing": op7_best_fit_packing,
         "op8_quality": op8_quality,
