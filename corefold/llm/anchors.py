@@ -17,8 +17,20 @@ BASE = _U(0x9E3779B97F4A7C15 | 1)
 BASE_INV = _U(pow(int(BASE), -1, 1 << 64))
 
 
+_POWERS: dict[int, np.ndarray] = {}
+
+
 def powers(base: np.uint64, n: int) -> np.ndarray:
-    """base**0 .. base**(n-1) modulo 2**64."""
+    """base**0 .. base**(n-1) modulo 2**64; remembered up to some millions."""
+    known = _POWERS.get(int(base))
+    if known is None or len(known) < n:
+        known = _powers(base, max(n, 1 << 16) * 5 // 4)
+        if n <= 1 << 23:
+            _POWERS[int(base)] = known
+    return known[:n]
+
+
+def _powers(base: np.uint64, n: int) -> np.ndarray:
     out = np.ones(max(n, 1), dtype=_U)
     done = 1
     step = base

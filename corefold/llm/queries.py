@@ -66,6 +66,12 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"), size=3, distance=2)
 
 
+def op10_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import debruijn
+
+    return debruijn.verified(debruijn.remove_repeats(table(spark, sf_dir, "documents"), w=50).drop("text"))
+
+
 def queries() -> dict[str, Query]:
     return {
         "op1_top_k": op1_top_k,
@@ -76,6 +82,7 @@ def queries() -> dict[str, Query]:
         "op7_best_fit_packing": op7_best_fit_packing,
         "op8_quality": op8_quality,
         "op9_simhash": op9_simhash,
+        "op10_debruijn": op10_debruijn,
     }
 
 
