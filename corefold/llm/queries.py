@@ -23,6 +23,12 @@ def op1_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.search(table(spark, sf_dir, "embeddings"), every=50, k=5)
 
 
+def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corefold.llm import suffix_dedup
+
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"), w=100).drop("kept")
+
+
 def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import bpe
 
@@ -75,6 +81,7 @@ def op10_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     return {
         "op1_top_k": op1_top_k,
+        "op2_suffix_dedup": op2_suffix_dedup,
         "op3_bpe": op3_bpe,
         "op4_html": op4_html,
         "op5_licenses": op5_licenses,
