@@ -69,7 +69,7 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import simhash
 
-    return simhash.near_duplicates(table(spark, sf_dir, "documents"), size=3, distance=2)
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"), size=3, distance=2).drop("tid")
 
 
 def op10_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:

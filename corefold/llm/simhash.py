@@ -54,15 +54,16 @@ def majority(hashes: np.ndarray, begin: np.ndarray) -> np.ndarray:
 
 
 def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
-    """doc_id, fp (the 64 bits as a long)."""
+    """doc_id, fp (the 64 bits as a long), tid (a hash of the text, to tell apart rows that share a doc_id)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole, "text", 2 << 20):
                 fps = np.array([fingerprint(t, size) for t in batch.column(1).to_pylist()], dtype=np.uint64)
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64)), batch.column(2)], names=["doc_id", "fp", "tid"])
 
-    return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, "doc_id long, fp long")
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
+    return chosen.withColumn("tid", F.xxhash64("text")).select("doc_id", "text", "tid").mapInArrow(run, "doc_id long, fp long, tid long")
 
 
 def block_masks(distance: int) -> list[int]:
@@ -141,7 +142,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, size: int = 3, distance: int = 2) -> DataFrame:
-    """doc_id, fingerprint (hex), component_id: the least doc_id that links reach."""
+    """doc_id, fingerprint (hex), component_id: the least doc_id that links reach; tid."""
     printed = written(fingerprints(docs, size))
     known = written(printed.filter("doc_id IS NOT NULL").groupBy("fp").agg(F.min("doc_id").alias("first")))
     found = components(links(known.select("fp"), distance))
@@ -149,4 +150,15 @@ def near_duplicates(docs: DataFrame, size: int = 3, distance: int = 2) -> DataFr
     ids = joined.groupBy("root").agg(F.min("first").alias("component_id"))
     classes = joined.join(ids, "root").select("fp", "component_id")
     out = printed.join(classes, "fp", "left")
-    return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
+    return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"), "tid")
+
+
+def deduplicate(docs: DataFrame, size: int = 5, distance: int = 3) -> DataFrame:
+    """One row of each class: that of the least doc_id. Rows without doc_id all stay."""
+    marked = near_duplicates(docs, size, distance).filter("doc_id = component_id")
+    first = marked.groupBy("component_id").agg(F.min(F.struct("doc_id", "tid")).alias("x")).select(F.col("x.doc_id").alias("_doc"), F.col("x.tid").alias("_tid"))
+    own = docs.withColumn("_tid", F.xxhash64(text_or_empty()))
+    held = own.filter("doc_id IS NOT NULL").join(first.withColumnRenamed("_tid", "_first"), (F.col("doc_id") == F.col("_doc")) & (F.col("_tid") == F.col("_first")))
+    one = Window.partitionBy("_doc", "_first").orderBy("_tid")
+    held = held.withColumn("_n", F.row_number().over(one)).filter("_n = 1")
+    return held.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))

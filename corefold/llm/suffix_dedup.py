@@ -123,6 +123,28 @@ def remove_repeats(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
     return windows.map_joined(everything, found, run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary", "left")
 
 
+def clean_texts(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
+    """docs with text (and n_chars, if there) of what is left; a character of which any byte goes, goes."""
+    found = repeats(docs, w, k).withColumnRenamed("doc_id", "_doc").withColumnRenamed("tid", "_found").withColumnRenamed("spans", "_spans")
+    own = docs.withColumn("_tid", F.xxhash64(text_or_empty()))
+    joined = own.join(found, (F.col("doc_id") == F.col("_doc")) & (F.col("_tid") == F.col("_found")), "left").select(*docs.columns, "_spans")
+    at = docs.columns.index("text")
+    count = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
+    schema = joined.drop("_spans").schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in slices(whole, "text", 4 << 20):
+                texts = [t if t is None or not b else remove_spans(t.encode(), b, w)[0].decode("utf-8", "ignore") for t, b in zip(batch.column(at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
+                columns = list(batch.columns[:-1])
+                columns[at] = pa.array(texts, batch.schema.field(at).type)
+                if count is not None:
+                    columns[count] = pa.array([None if t is None else len(t) for t in texts], batch.schema.field(count).type)
+                yield pa.RecordBatch.from_arrays(columns, names=batch.schema.names[:-1])
+
+    return joined.mapInArrow(run, schema)
+
+
 def remove_spans(data: bytes, blobs: list[bytes] | None, w: int) -> tuple[bytes, int]:
     """What is left of a document, and how many maximal runs went."""
     if not blobs:
