@@ -114,7 +114,9 @@ class Weights:
             block = min((self.near.get(f, 0.0) for f in context if f not in INLINE), default=0.0)
             if len(self._memory) > 50_000:
                 self._memory.clear()
-            w = self._memory[context] = self.base + min(0.0, worst), self.base + min(0.0, block) > 0
+            kept = self.base + min(0.0, block) > 0
+            # what is left out anyway costs little, else an advert would cut an article in two
+            w = self._memory[context] = self.base + min(0.0, worst) if kept else -0.3, kept
         return w
 
 
@@ -136,7 +138,7 @@ def fit(pages: list[str]) -> Weights:
                     (inside if within else outside)[f] += n
     odds = lambda a, b: math.log((a + 0.5) / (b + 0.5))
     near = {f: 2 * odds(inside[f], outside[f]) for f in set(inside) | set(outside)}
-    tag = {t: min(-0.1, odds(tag_in[t], tag_out[t]) / 2 - 0.1) for t in set(tag_in) | set(tag_out)}
+    tag = {t: min(-0.1, odds(tag_in[t], tag_out[t]) / 8 - 0.1) for t in set(tag_in) | set(tag_out)}
     return Weights(tag, near, 1.0)
 
 
