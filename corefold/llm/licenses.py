@@ -13,6 +13,7 @@ rows are scanned each. Nothing is shuffled, so no group can be hot.
 
 from __future__ import annotations
 
+import re
 from itertools import product
 from typing import NamedTuple
 
@@ -153,8 +154,9 @@ def rules() -> list[Rule]:
             plain = [w for w in name.split() if not w.endswith("?")]
             found.append(Rule(label, priority, f" {max(plain, key=len)} ", pattern(form.replace("@", name))))
     names = [(line.split(": ")[0], n) for line in FAMILIES for n in line.split(": ")[1].split("|")]
-    # a name of three words or more, or an abbreviation that is no word, stands for itself
-    found += [Rule(label, 1, f" {n.split()[0]} ", pattern(n)) for label, n in names if len(n.split()) >= 2]
+    # a name of several words stands for itself, if the prefilter knows it
+    gate = re.compile(PREFILTER.replace("\\x{10FFFF}", "\U0010ffff"))
+    found += [Rule(label, 1, f" {n.split()[0]} ", pattern(n)) for label, n in names if len(n.split()) >= 2 and gate.search(" ".join(w for w in n.split() if not w.endswith("?")))]
     return sorted(dict.fromkeys(found), key=lambda r: (-r.priority, r.label, r.pattern))
 
 
