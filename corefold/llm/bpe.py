@@ -25,12 +25,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corefold.llm.common import text_or_empty
+from corefold.llm.common import text_or_empty, written
 
 #: Words kept in the lexicon, by default.
 LEXICON_WORDS = 65_536
 #: Remembered words of one worker; the memory is emptied when it is full.
-CACHE_WORDS = 500_000
+CACHE_WORDS = 400_000
+#: Words that occur less often are not worth a place in a lexicon.
+LEAST_COUNT = 4
 
 
 def compile_lexicon(words: dict[bytes, list[int]]) -> bytes:
@@ -290,7 +292,7 @@ def encoder(path: str, key: str = "", blob: bytes | None = None) -> Encoder:
 
 
 def frequent_words(texts: DataFrame, column: str, words: int) -> list[str]:
-    """The most frequent chunks between white space over all texts; counted per task first, then by word."""
+    """The most frequent chunks between white space over all texts, at most `words`; counted per task first, then by word."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts: Counter = Counter()
@@ -308,10 +310,16 @@ def frequent_words(texts: DataFrame, column: str, words: int) -> list[str]:
         if counts:
             yield flush()
 
-    # A word that occurs once in a task can still be frequent, so none is left out.
     found = texts.select(text_or_empty(column).alias("t")).mapInArrow(count, "word string, n long")
-    top = found.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(words)
-    return [r.word for r in top.collect()]  # at most `words` rows
+    counts = written(found.groupBy("word").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_COUNT))
+    # the count that at most `words` words reach: from words by count, then only these words come to the driver
+    by_count = counts.groupBy(F.floor(F.log(2.0, "n") * 64).alias("level")).agg(F.count("*").alias("words"), F.min("n").alias("n"))
+    least, total = None, 0
+    for r in sorted(by_count.collect(), key=lambda r: -r.level):  # 64 levels for each doubling
+        if (total := total + r.words) > words:
+            break
+        least = r.n
+    return [] if least is None else [r.word for r in counts.filter(F.col("n") >= least).collect()]
 
 
 def build_lexicon(texts: DataFrame, column: str, path: str, words: int = LEXICON_WORDS) -> bytes:
