@@ -75,7 +75,8 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import debruijn
 
-    return debruijn.verified(debruijn.remove_repeats(table(spark, sf_dir, "documents"), w=50).drop("text"))
+    cleaned = debruijn.verified(debruijn.remove_repeats(table(spark, sf_dir, "documents"), w=50).drop("text"))
+    return cleaned.select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
 def queries() -> dict[str, Query]:
@@ -109,6 +110,24 @@ WITH u AS (
 SELECT query_id, CAST(rn AS INTEGER) AS "rank", vec_id, score FROM r WHERE rn <= 5
 """
 
+OP10_SQL = """
+WITH w AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents
+), win AS (
+  SELECT doc_id, i, md5_number(array_to_string(ws[i:i + 49], ' ')) AS g
+  FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 48)) AS i FROM w WHERE len(ws) >= 50)
+), first AS (
+  SELECT g, min(doc_id) AS f FROM win GROUP BY g
+), gone AS (
+  SELECT DISTINCT doc_id, i + k AS p FROM (SELECT doc_id, i FROM win JOIN first USING (g) WHERE f < doc_id), (SELECT range AS k FROM range(0, 50))
+), kept AS (
+  SELECT doc_id, string_agg(word, ' ' ORDER BY p) AS t, count(*) AS n
+  FROM (SELECT doc_id, unnest(range(1, len(ws) + 1)) AS p, unnest(ws) AS word FROM w) ANTI JOIN gone USING (doc_id, p) GROUP BY doc_id
+)
+SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(len(ws) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
+FROM w LEFT JOIN kept ON kept.doc_id = w.doc_id
+"""
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_top_k": OP1_SQL}
+    return {"op1_top_k": OP1_SQL, "op10_debruijn": OP10_SQL}
