@@ -62,6 +62,19 @@ def map_columns(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | N
     return df.mapInArrow(run, schema)
 
 
+def give_back() -> None:
+    """Hand freed memory of this worker back: workers are reused, and their executor's memory is shared."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
 def slices(batch: pa.RecordBatch, column: str, most_bytes: int) -> Iterator[pa.RecordBatch]:
     """Runs of rows whose `column` (string or binary) holds at most about `most_bytes`; a longer row comes alone."""
     import numpy as np

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corefold.llm import bpe
-from corefold.llm.common import map_columns, text_or_empty, written
+from corefold.llm.common import give_back, map_columns, text_or_empty, written
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -123,6 +123,7 @@ def pieces(docs: DataFrame, path: str, limit: int, end_id: int) -> DataFrame:
                     rows += [(doc_id, i, start, size, zlib.crc32(ids[4 * start : 4 * (start + size)])) for i, (start, size) in enumerate(cut(len(ids) // 4, limit))]
                 kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+        give_back()
 
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, PIECES)
 
@@ -138,7 +139,7 @@ def pack(docs: DataFrame, path: str, limit: int = 1024, end_id: int = 2) -> Data
     slots = spark.sparkContext.broadcast(Slots(plan_best_fit(counts, limit)))  # bounded by `limit`
     before = sizes.select("length", "salt", (F.sum("n").over(Window.partitionBy("length").orderBy("salt")) - F.col("n")).alias("before"))
     order = Window.partitionBy("length", "salt").orderBy("doc_id", "piece", "start", "ids_crc32")
-    ranked = salted.join(before, ["length", "salt"]).withColumn("rank", F.col("before") + F.row_number().over(order) - 1)
+    ranked = salted.join(before.hint("merge"), ["length", "salt"]).withColumn("rank", F.col("before") + F.row_number().over(order) - 1)
 
     def place(batch: pa.RecordBatch) -> pa.RecordBatch:
         length, rank = batch.column(3).to_numpy(), batch.column(5).to_numpy()

@@ -4,8 +4,8 @@ Fingerprints are cut into `distance` + 2 blocks, so two that differ in at most
 `distance` bits agree in at least two blocks: candidates are those that share a pair
 of blocks. Equal fingerprints are one node from the start, so copies cost nothing.
 
-Within a pair of blocks small groups are compared pair by pair. Large ones are not:
-there each fingerprint names its neighbourhood instead - itself with each choice of
+Within a pair of blocks groups up to some thousands are compared in memory, and only a
+forest of their links leaves the task. Larger ones never come together: there each fingerprint names its neighbourhood instead - itself with each choice of
 `distance` of the remaining bits set to zero, and which bits these were. Two share such
 a name exactly if they are within the distance. Each name links its members to its
 least, which joins what all pairs would join, in rows linear in the members.
@@ -19,16 +19,14 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from itertools import combinations
+from math import comb
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from corefold.llm.common import slices, text_or_empty, written
-
-#: Fingerprints that share two blocks and are compared pair by pair, at most.
-PAIRWISE = 64
+from corefold.llm.common import give_back, slices, text_or_empty, written
 
 
 def fingerprint(text: str, size: int = 3) -> int:
@@ -61,6 +59,7 @@ def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
             for batch in slices(whole, "text", 2 << 20):
                 fps = np.array([fingerprint(t, size) for t in batch.column(1).to_pylist()], dtype=np.uint64)
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64)), batch.column(2)], names=["doc_id", "fp", "tid"])
+        give_back()
 
     chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     return chosen.withColumn("tid", F.xxhash64("text")).select("doc_id", "text", "tid").mapInArrow(run, "doc_id long, fp long, tid long")
@@ -84,18 +83,44 @@ def _names(free: int, distance: int) -> np.ndarray:
     return np.array([sum(c) for c in combinations(bits, distance)], dtype=np.uint64)
 
 
-def links(fps: DataFrame, distance: int = 2, pairwise: int = PAIRWISE) -> DataFrame:
+def near_forest(fps: np.ndarray, distance: int) -> list[tuple[int, int]]:
+    """Edges (first member, other member) of the classes that links within the distance make of one group."""
+    root = np.arange(len(fps))
+    for i in range(len(fps) - 1):
+        near = np.flatnonzero(np.bitwise_count(fps[i + 1 :] ^ fps[i]) <= distance) + i + 1
+        if len(near):
+            met = np.unique(root[np.append(near, i)])
+            if len(met) > 1:
+                root[np.isin(root, met)] = met[0]
+    return [(int(r), j) for j, r in enumerate(root.tolist()) if r != j]
+
+
+def links(fps: DataFrame, distance: int = 2, pairwise: int | None = None) -> DataFrame:
     """Pairs (a, b) of different fingerprints that join all fingerprints within `distance` of each other.
 
-    fps: fp long, each once. Every pair returned is within the distance.
+    fps: fp long, each once. Both ends are always in one class of such links; there are
+    at most as many pairs as members in each group, never all pairs of a group.
     """
     masks = block_masks(distance)
+    if pairwise is None:  # from here on names are fewer than comparisons
+        pairwise = 2 * max(comb(64 - m.bit_count(), distance) for m in masks)
     keyed = fps.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(_signed(m))) for m in masks])).alias("mask", "key"))
     sizes = keyed.groupBy("mask", "key").agg(F.count("*").alias("n")).filter("n > 1")
     shared = written(keyed.join(sizes, ["mask", "key"]))
-    small = shared.filter(F.col("n") <= pairwise).groupBy("mask", "key").agg(F.sort_array(F.collect_list("fp")).alias("fps"))
-    pairs = small.select("fps", F.posexplode("fps").alias("i", "a")).select("a", F.explode(F.slice("fps", F.col("i") + 2, F.size("fps"))).alias("b"))
-    pairs = pairs.filter(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
+    small = shared.filter(F.col("n") <= pairwise).groupBy("mask", "key").agg(F.sort_array(F.collect_list("fp")).alias("fps")).select("fps")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            column = batch.column(0)
+            offsets, flat = column.offsets.to_numpy(), column.values.to_numpy()
+            unsigned, a, b = flat.view(np.uint64), [], []
+            for x, y in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
+                for i, j in near_forest(unsigned[x:y], distance):
+                    a.append(flat[x + i])
+                    b.append(flat[x + j])
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    pairs = small.mapInArrow(compare, "a long, b long")
     free = [((1 << 64) - 1) ^ m for m in masks]
 
     def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -114,7 +139,8 @@ def links(fps: DataFrame, distance: int = 2, pairwise: int = PAIRWISE) -> DataFr
     large = shared.filter(F.col("n") > pairwise).select("mask", "fp").mapInArrow(name, "fp long, kept long, cleared long").groupBy("kept", "cleared")
     stars = shared.filter(F.col("n") > pairwise).select("mask", "fp").mapInArrow(name, "fp long, kept long, cleared long")
     least = large.agg(F.min("fp").alias("a"), F.max("fp").alias("z")).filter("a < z").select("kept", "cleared", "a")
-    joined = stars.join(least, ["kept", "cleared"]).filter("a <> fp").select("a", F.col("fp").alias("b"))
+    # Names are many times the fingerprints they come from, so their size on disk must not lead to a broadcast.
+    joined = stars.hint("merge").join(least, ["kept", "cleared"]).filter("a <> fp").select("a", F.col("fp").alias("b"))
     return pairs.unionByName(joined).distinct()
 
 
@@ -156,9 +182,8 @@ def near_duplicates(docs: DataFrame, size: int = 3, distance: int = 2) -> DataFr
 def deduplicate(docs: DataFrame, size: int = 5, distance: int = 3) -> DataFrame:
     """One row of each class: that of the least doc_id. Rows without doc_id all stay."""
     marked = near_duplicates(docs, size, distance).filter("doc_id = component_id")
-    first = marked.groupBy("component_id").agg(F.min(F.struct("doc_id", "tid")).alias("x")).select(F.col("x.doc_id").alias("_doc"), F.col("x.tid").alias("_tid"))
-    own = docs.withColumn("_tid", F.xxhash64(text_or_empty()))
-    held = own.filter("doc_id IS NOT NULL").join(first.withColumnRenamed("_tid", "_first"), (F.col("doc_id") == F.col("_doc")) & (F.col("_tid") == F.col("_first")))
-    one = Window.partitionBy("_doc", "_first").orderBy("_tid")
-    held = held.withColumn("_n", F.row_number().over(one)).filter("_n = 1")
-    return held.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))
+    first = marked.groupBy("component_id").agg(F.min(F.struct("doc_id", "tid")).alias("x")).select(F.col("x.doc_id").alias("doc"), F.col("x.tid").alias("tid"))
+    rows = docs.select(F.struct(*docs.columns).alias("row"), F.col("doc_id").cast("long").alias("own"), F.xxhash64(text_or_empty()).alias("own_tid"))
+    held = rows.filter("own IS NOT NULL").join(first, (F.col("own") == F.col("doc")) & (F.col("own_tid") == F.col("tid")))
+    held = held.withColumn("n", F.row_number().over(Window.partitionBy("doc", "tid").orderBy("own"))).filter("n = 1")
+    return held.select("row.*").unionByName(docs.filter("doc_id IS NULL"))

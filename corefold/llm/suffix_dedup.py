@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from corefold.llm import suffix, windows
 from corefold.llm.anchors import BASE_INV, BYTE_CODES, mix, powers, prefix_sums, span_hash
-from corefold.llm.common import partitions_for, slices, text_or_empty, written
+from corefold.llm.common import give_back, partitions_for, slices, text_or_empty, written
 
 #: Bytes of tuples that a shard's queue holds before it uses the disk.
 QUEUE_MEMORY = 64 << 20
@@ -38,7 +38,7 @@ def cut_out(docs: DataFrame, found: DataFrame, spec: windows.Spec, parts: int) -
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, "text", 8 << 20):
+            for batch in slices(whole, "text", 2 << 20):
                 texts = [t.encode() for t in batch.column(2).to_pylist()]
                 doc, tid, first, size, key, data = [], [], [], [], [], []
                 for i, blob in enumerate(batch.column(3).to_pylist()):
@@ -87,6 +87,7 @@ def sort_shards(packed: DataFrame, spec: windows.Spec, parts: int, memory: int =
             d, t = doc[run_of], tid[run_of]
             c = windows.classes(groups, d, start, spec.by_doc)
             out += windows._send_repeats(1, parts, c, d, t, start, np.zeros(len(start), dtype=np.int32))
+        give_back()
         return pa.Table.from_batches(out, schema=pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
 
     return packed.groupBy("part").applyInArrow(run, windows.PACKED)
@@ -125,16 +126,17 @@ def remove_repeats(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
 
 def clean_texts(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
     """docs with text (and n_chars, if there) of what is left; a character of which any byte goes, goes."""
-    found = repeats(docs, w, k).withColumnRenamed("doc_id", "_doc").withColumnRenamed("tid", "_found").withColumnRenamed("spans", "_spans")
-    own = docs.withColumn("_tid", F.xxhash64(text_or_empty()))
-    joined = own.join(found, (F.col("doc_id") == F.col("_doc")) & (F.col("_tid") == F.col("_found")), "left").select(*docs.columns, "_spans")
+    found = repeats(docs, w, k).select(F.col("doc_id").alias("doc"), F.col("tid").alias("doc_tid"), "spans")
+    rows = docs.select(F.struct(*docs.columns).alias("row"), F.col("doc_id").cast("long").alias("own"), F.xxhash64(text_or_empty()).alias("own_tid"))
+    joined = rows.join(found, (F.col("own") == F.col("doc")) & (F.col("own_tid") == F.col("doc_tid")), "left").select("row.*", F.col("spans"))
+    joined = joined.toDF(*[f"c{i}" for i in range(len(docs.columns))], "spans")  # by place, whatever they are called
     at = docs.columns.index("text")
     count = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
-    schema = joined.drop("_spans").schema
+    schema = joined.drop("spans").schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, "text", 4 << 20):
+            for batch in slices(whole, whole.schema.names[at], 4 << 20):
                 texts = [t if t is None or not b else remove_spans(t.encode(), b, w)[0].decode("utf-8", "ignore") for t, b in zip(batch.column(at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
                 columns = list(batch.columns[:-1])
                 columns[at] = pa.array(texts, batch.schema.field(at).type)
@@ -142,7 +144,7 @@ def clean_texts(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
                     columns[count] = pa.array([None if t is None else len(t) for t in texts], batch.schema.field(count).type)
                 yield pa.RecordBatch.from_arrays(columns, names=batch.schema.names[:-1])
 
-    return joined.mapInArrow(run, schema)
+    return joined.mapInArrow(run, schema).toDF(*docs.columns)
 
 
 def remove_spans(data: bytes, blobs: list[bytes] | None, w: int) -> tuple[bytes, int]:
@@ -162,7 +164,7 @@ def remove_spans(data: bytes, blobs: list[bytes] | None, w: int) -> tuple[bytes,
 def repeats(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
     """doc_id, tid, spans (packed) of the documents that repeat a string of w bytes."""
     spec = windows.Spec(w, k, words=False, by_doc=False)
-    parts = partitions_for(docs)
+    parts = partitions_for(docs, 6 << 20)
     known = windows.identified(docs)
     found = windows.repeated(known, spec, parts)
     sorted_ = windows.by_document(sort_shards(cut_out(known, found, spec, parts), spec, parts))

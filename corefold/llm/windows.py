@@ -23,14 +23,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corefold.llm import anchors
-from corefold.llm.common import slices, text_or_empty, written
+from corefold.llm.common import give_back, slices, text_or_empty, written
 
 PACKED = "part int, kind int, blob binary"
 FOUND = "doc_id long, tid long, spans binary, open binary"
 #: Contexts of one anchor from which on they are dealt out by what lies around it.
 HOT = 2_000
 #: Anchors that a task gathers before it sends them on.
-FLUSH = 1_000_000
+FLUSH = 500_000
 
 SPAN = np.dtype([("start", "<i4"), ("end", "<i4"), ("src_doc", "<i8"), ("src_tid", "<i8"), ("src_start", "<i4")])
 OPEN = np.dtype([("first", "<i4"), ("n", "<i4"), ("h", "<u8"), ("hot", "u1")])
@@ -166,6 +166,7 @@ def anchor_parts(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
                 if sum(len(x[0]) for x in held) >= FLUSH:
                     yield from flush()
         yield from flush()
+        give_back()
 
     return docs.mapInArrow(run, PACKED)
 
