@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import time
-from math import prod
+from math import log10, prod
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -65,9 +65,10 @@ def _per_mode(fn) -> list[tuple]:  # noqa: ANN001
     return rows
 
 
-@query("cost_ttm", f"{_MODES} SELECT name, mode, round(2 * j * r / p / 1e6, 6) flops, round((g - 1) * j / i * r / p / 1e6, 6) words, round((j / p + i * r / g + 2 * j / i * r / p) / 1e6, 6) memory FROM x")
+@query("cost_ttm", f"{_MODES} SELECT name, mode, round(2 * j * r / p / 1e6, 6) flops, round((g - 1) * j / i * r / p / 1e6, 6) words, round(log10(j / p + i * r / g + 2 * j / i * r / p), 6) log_memory FROM x")
 def cost_ttm(spark: SparkSession, sf: str) -> DataFrame:
-    return frame(spark, _per_mode(lambda d, m, r, g: ((c := cm.ttm_cost(d, m, r, g)).flops, c.words, cm.ttm_memory(d, m, r, g))), "name string, mode int, flops double, words double, memory double")
+    rows = _per_mode(lambda d, m, r, g: ((c := cm.ttm_cost(d, m, r, g)).flops, c.words, 1e6 * log10(cm.ttm_memory(d, m, r, g))))
+    return frame(spark, rows, "name string, mode int, flops double, words double, log_memory double").withColumn("log_memory", F.round("log_memory", 6))
 
 
 @query("cost_gram", f"{_MODES} SELECT name, mode, round(2 * i * j / p / 1e6, 6) flops, round((2 * (g - 1) * j / p + 2 * (p / g - 1) * i * i / p) / 1e6, 6) words, round((2 * j / p + 2 * i * i / g) / 1e6, 6) memory FROM x")
@@ -130,7 +131,7 @@ def gram_ttm_ratio(spark: SparkSession, sf: str) -> DataFrame:
  CASE kind WHEN 'send' THEN 1.0::DOUBLE WHEN 'all_reduce' THEN 2 * log2(p) ELSE log2(p) END AS messages, CASE WHEN kind IN ('reduce', 'all_reduce') THEN 1000.0::DOUBLE * (p - 1) / p ELSE 0.0 END AS flops
  FROM (SELECT unnest(['send', 'all_gather', 'reduce', 'all_reduce']) kind), (SELECT unnest([2, 8, 64]) p)""")
 def cost_collectives(spark: SparkSession, sf: str) -> DataFrame:
-    rows = [(k, p, float((c := cm.collective_cost(k, 1000.0, p)).words), float(c.messages), c.flops) for k in ("send", "all_gather", "reduce", "all_reduce") for p in (2, 8, 64)]
+    rows = [(k, p, float((c := cm.collective_cost(k, 1000.0, p)).words), float(c.messages), float(c.flops)) for k in ("send", "all_gather", "reduce", "all_reduce") for p in (2, 8, 64)]
     return frame(spark, rows, "kind string, p long, words double, messages double, flops double")
 
 
