@@ -94,4 +94,6 @@ class CorefoldReader(DataSourceReader):
 
 
 def register(spark) -> None:  # noqa: ANN001
+    """Make the format known; taking over filters is a runtime setting that is off by default."""
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(CorefoldDataSource)
