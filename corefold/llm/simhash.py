@@ -17,7 +17,7 @@ Rows that repeat a doc_id are one document for each different fingerprint.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from itertools import combinations
 from math import comb
 
@@ -29,16 +29,22 @@ from pyspark.sql import functions as F
 from corefold.llm.common import give_back, slices, text_or_empty, written
 
 
+def shingles(text: str, size: int) -> Iterable[bytes]:
+    """Runs of `size` words; of fewer words one run, of none no run."""
+    words = text.encode().lower().split()  # bytes: only A-Z and ASCII white space
+    if not words:
+        return []
+    return map(b" ".join, zip(*(words[i:] for i in range(size)), strict=False)) if len(words) >= size else [b" ".join(words)]
+
+
 def fingerprint(text: str, size: int = 3) -> int:
     """Of one text: the bits that more than half of the shingles' hashes have."""
     import xxhash
 
-    words = text.encode().lower().split()  # bytes: only A-Z and ASCII white space
-    if not words:
-        return 0
-    shingles = map(b" ".join, zip(*(words[i:] for i in range(size)), strict=False)) if len(words) >= size else [b" ".join(words)]
     digest = xxhash.xxh64_intdigest
-    hashes = np.fromiter([digest(s, 42) for s in shingles], dtype=np.uint64)
+    hashes = np.fromiter([digest(s, 42) for s in shingles(text, size)], dtype=np.uint64)
+    if not len(hashes):
+        return 0
     return int(majority(hashes, np.array([0, len(hashes)]))[0])
 
 
@@ -183,6 +189,11 @@ def deduplicate(docs: DataFrame, size: int = 5, distance: int = 3) -> DataFrame:
     """One row of each class: that of the least doc_id. Rows without doc_id all stay."""
     marked = near_duplicates(docs, size, distance).filter("doc_id = component_id")
     first = marked.groupBy("component_id").agg(F.min(F.struct("doc_id", "tid")).alias("x")).select(F.col("x.doc_id").alias("doc"), F.col("x.tid").alias("tid"))
+    return first_rows(docs, first)
+
+
+def first_rows(docs: DataFrame, first: DataFrame) -> DataFrame:
+    """One row of docs for each (doc, tid) of `first`, and all without doc_id."""
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.col("doc_id").cast("long").alias("own"), F.xxhash64(text_or_empty()).alias("own_tid"))
     held = rows.filter("own IS NOT NULL").join(first, (F.col("own") == F.col("doc")) & (F.col("own_tid") == F.col("tid")))
     held = held.withColumn("n", F.row_number().over(Window.partitionBy("doc", "tid").orderBy("own"))).filter("n = 1")
