@@ -13,8 +13,7 @@ rows are scanned each. Nothing is shuffled, so no group can be hot.
 
 from __future__ import annotations
 
-import re
-from itertools import product
+from itertools import groupby, product
 from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
@@ -98,22 +97,22 @@ openrail: openrail|open rail
 FORMS = (
     (3, "spdx license identifier @"),
     (2, "licensed|released|distributed|published|available|provided|covered|offered under|by|with|per the|a? terms? of? the? @ version?? #"),
-    (1, "the @ license|licence v?? #"),
+    (1, "the? @ license|licence v?? #"),
     (1, "license|licence @ v?? #"),
 )
 
-#: Signatures without a name. Label, priority, keyword, words.
+#: Signatures without a name. Label, priority, keyword (whole words, one of which stands in every match), words.
 NOTICES = (
     ("reserved", 1, "reserved", "all|some|no rights reserved"),
     ("copyright", 1, "copyright", "copyright c? 1|2"),
-    ("public-domain", 2, "public domain", "in|to|into the public domain"),
-    ("public-domain", 1, "public domain", "public domain"),
+    ("public-domain", 2, "domain", "in|to|into the public domain"),
+    ("public-domain", 1, "domain", "public domain"),
     ("mit", 2, "permission", "permission is hereby granted free of charge to any person obtaining a copy"),
     ("isc", 2, "permission", "permission to use copy modify and or distribute this software for any purpose"),
     ("bsd", 2, "redistribution", "redistribution and use in source and binary forms with or without modification are permitted"),
     ("gpl", 2, "redistribute", "you can redistribute it and or modify it under the terms of the gnu general public license"),
     ("zlib", 2, "implied", "this software is provided as is without any express or implied warranty"),
-    ("warranty-disclaimer", 1, "warrant", "without warranty|warranties of any kind"),
+    ("warranty-disclaimer", 1, "warranty|warranties", "without warranty|warranties of any kind"),
     ("proprietary", 2, "proprietary", "proprietary and confidential"),
     ("proprietary", 2, "permission", "without|prior written|express permission"),
 )
@@ -135,7 +134,7 @@ def pattern(words: str) -> str:
         elif word.endswith("??"):
             out += "(?: (?:v|version) )?"
         elif word.endswith("?"):
-            out += f"(?: {word[:-1]} )?"
+            out += f"(?: (?:{word[:-1]}) )?"
         elif word == "1|2":
             out += " [12][0-9]{3} "
         else:
@@ -143,25 +142,36 @@ def pattern(words: str) -> str:
     return out
 
 
+def keyword(name: str) -> str:
+    """The longest word that stands wherever the name does, the last of equal ones; "by" only if there is no other."""
+    plain = [w for w in name.split() if not w.endswith("?")]
+    return max(reversed(plain), key=lambda w: (w != "by", len(w)))
+
+
 def rules() -> list[Rule]:
     """All signatures, of higher priority first."""
-    found = [Rule(label, priority, keyword, pattern(words)) for label, priority, keyword, words in NOTICES]
+    found = [Rule(label, priority, f" {k} ", pattern(words)) for label, priority, keys, words in NOTICES for k in keys.split("|")]
     for line, (priority, form) in product(FAMILIES, FORMS):
         label, names = line.split(": ")
         for name in names.split("|"):
             if "license" in name.split() and "license|licence" in form:
                 continue
-            plain = [w for w in name.split() if not w.endswith("?")]
-            found.append(Rule(label, priority, f" {max(plain, key=len)} ", pattern(form.replace("@", name))))
+            found.append(Rule(label, priority, f" {keyword(name)} ", pattern(form.replace("@", name))))
     names = [(line.split(": ")[0], n) for line in FAMILIES for n in line.split(": ")[1].split("|")]
-    # a name of several words stands for itself, if the prefilter knows it
-    gate = re.compile(PREFILTER.replace("\\x{10FFFF}", "\U0010ffff"))
-    found += [Rule(label, 1, f" {n.split()[0]} ", pattern(n)) for label, n in names if len(n.split()) >= 2 and gate.search(" ".join(w for w in n.split() if not w.endswith("?")))]
+    # a name of several words stands for itself
+    found += [Rule(label, 1, f" {keyword(n)} ", pattern(n)) for label, n in names if len(n.split()) >= 2]
     return sorted(dict.fromkeys(found), key=lambda r: (-r.priority, r.label, r.pattern))
 
 
-#: One of these stands in every text that a rule or a base phrase can match (tested).
-PREFILTER = "(?i)licen[cs]|reserved|copyright|permission|domain|warrant|redistribut|proprietary|cc[^0-9a-z\\x80-\\x{10FFFF}]+(?:by|0|zero)|gpl|creative|public|commons|clause|foundation|bsd"
+def prefilter(signatures: list[Rule]) -> str:
+    """A pattern that every text matches in which a rule or a base phrase can: any of their keywords, as a whole word."""
+    words = sorted({r.keyword.strip() for r in signatures} | {keyword(p) for p in BASE_PHRASES})
+    starts = [f"{c}(?:{'|'.join(w[1:] for w in group)})" for c, group in groupby(words, key=lambda w: w[0])]
+    inner = "[0-9a-zA-Z\\x80-\\x{10FFFF}]"
+    return f"(?i)(?<!{inner})(?:{'|'.join(starts)})(?!{inner})"
+
+
+PREFILTER = prefilter(rules())
 
 
 def _spaced(words: Column) -> Column:
@@ -178,7 +188,7 @@ def scan(docs: DataFrame, signatures: list[Rule] | None = None) -> DataFrame:
     signatures = rules() if signatures is None else signatures
     out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("_t"))
     out = out.withColumn("_w", F.array_remove(F.split("_t", BREAKS), "")).withColumn("_n", F.size("_w").cast("long"))
-    out = out.select("doc_id", "_n", F.when(F.rlike("_t", F.lit(PREFILTER)), F.translate(_spaced(F.col("_w")), UPPER, LOWER)).otherwise("").alias("_s"))
+    out = out.select("doc_id", "_n", F.when(F.rlike("_t", F.lit(prefilter(signatures))), F.translate(_spaced(F.col("_w")), UPPER, LOWER)).otherwise("").alias("_s"))
     # base phrases: the runs of words between their places
     for i, phrase in enumerate(BASE_PHRASES):
         out = out.withColumn(f"_b{i}", F.split("_s", pattern(phrase)))

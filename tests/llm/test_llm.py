@@ -242,6 +242,34 @@ def test_license_prefilter_lets_every_rule_through():
                 assert prefilter.search(text)
 
 
+def license_examples():
+    """(label, text): each name in each form, with and without what may lack; bare names; notices."""
+    out = []
+    for line in licenses.FAMILIES:
+        label, names = line.split(": ")
+        for name in names.split("|"):
+            plain = " ".join(w for w in name.split() if not w.endswith("?"))
+            out += [(label, f"x {verb} under {plain} y") for verb in ("Licensed", "Released", "distributed", "provided")]
+            out += [(label, f"x available under {a} {plain} y") for a in ("a", "the", "the terms of the")]
+            out.append((label, f"SPDX-License-Identifier: {plain}"))
+            if "license" not in plain.split():
+                out += [(label, f"x {t}{plain} License y") for t in ("", "the ")] + [(label, f"license: {plain}")]
+            if len(name.split()) >= 2:
+                out.append((label, f"x {plain.upper()} y"))
+    out += [("public-domain", "x Public Domain y"), ("public-domain", "put into the public domain"), ("reserved", "some rights reserved")]
+    out += [("warranty-disclaimer", "without warranty of any kind"), ("warranty-disclaimer", "without warranties of any kind"), ("proprietary", "proprietary and confidential")]
+    return out
+
+
+def test_every_form_of_every_license_rule_is_found(spark):
+    examples = license_examples()
+    got = {r.doc_id: r for r in licenses.scan(table(spark, [(i, t) for i, (_, t) in enumerate(examples)])).collect()}
+    # a version counts as found if its family is
+    family = lambda label: label.split("-")[0]
+    missed = [(label, t, got[i].labels) for i, (label, t) in enumerate(examples) if not any(family(label) == family(x) for x in got[i].labels.split(","))]
+    assert missed == []
+
+
 def test_quality_measures_and_base(spark, docs, rows):
     more = [(9001, "a b c d e a b c d e x " * 2 + "\nline one\nline one\n \n"), (9002, "# $ % <|> !! && ok"), (9003, None)]
     labels = spark.createDataFrame([(1, 1), (None, 0), (4, None), (99999, 0)], "doc_id long, quality int")
