@@ -8,9 +8,11 @@ blocks of a fixed number, so what is broadcast has a fixed size.
 A task's counts below its own k-th bin cannot matter (the k-th value of all is no
 less than that of one task), so each task sends at most k bins for each query.
 
-Vectors that are null, of another length than the first query's, or hold a null or
-non-finite component take no part; neither do null ids. Repeated ids are candidates
-once per row; a query has no candidate of its own id.
+Vectors that are null, empty, or hold a null or non-finite component take no part;
+neither do null ids. A query is compared with the vectors of its own length. Repeated ids
+are candidates once per row; a query has no candidate of its own id. Scores are exact for
+any finite components (large ones are multiplied as whole numbers of any size); scores
+beyond 2**61 are given, and tie, as 2**61. No query, or no candidate, gives no rows.
 """
 
 from __future__ import annotations
@@ -19,19 +21,28 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corefold.llm.common import written
 
 RESULT = "query_id long, rank int, vec_id long, score long"
 BINS = 512
+#: Scores beyond this are given as this.
+MOST = 1 << 61
+#: Products of whole numbers are exact in float64 while sizes stay below this.
+EXACT = 1 << 52
 
 
 def integer_vectors(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 256) -> DataFrame:
-    """vec_id and v (floor(scale * component) as ints), of the vectors that take part."""
+    """vec_id and v (floor(scale * component), whole numbers as doubles), of the vectors that take part."""
     usable = F.col(id_col).isNotNull() & F.col(vector_col).isNotNull() & F.forall(F.col(vector_col), lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
-    return df.filter(F.coalesce(usable, F.lit(False))).select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector_col, lambda x: F.floor(x.cast("double") * scale).cast("long")).alias("v"))
+
+    def whole(x: Column) -> Column:
+        y = x.cast("double") * scale
+        return F.when(F.abs(y) < float(1 << 53), F.floor(y).cast("double")).otherwise(y)  # larger doubles are whole
+
+    return df.filter(F.coalesce(usable, F.lit(False))).select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector_col, whole).alias("v"))
 
 
 def _matrix(column: pa.Array, dims: int) -> tuple[np.ndarray, np.ndarray]:
@@ -45,18 +56,40 @@ def _matrix(column: pa.Array, dims: int) -> tuple[np.ndarray, np.ndarray]:
     return flat.reshape(-1, dims), keep
 
 
+def _norms(matrix: np.ndarray) -> np.ndarray:
+    """Length of each row; finite wherever the row is."""
+    most = np.abs(matrix).max(axis=1, initial=1.0)
+    return np.sqrt(((matrix / most[:, None]) ** 2).sum(axis=1)) * most
+
+
+def exact_products(queries: np.ndarray, matrix: np.ndarray) -> np.ndarray:
+    """queries @ matrix.T of whole numbers as int64, exact; beyond MOST it is MOST."""
+    q, c = _norms(queries), _norms(matrix)
+    with np.errstate(over="ignore", invalid="ignore"):
+        scores = queries @ matrix.T
+        rough = q[:, None] * c[None, :].max(initial=0.0) >= EXACT
+        sure = np.where(np.isfinite(scores), scores, 0.0) if rough.any() else scores
+        out = np.rint(np.clip(sure, -MOST, MOST)).astype(np.int64)
+    # Large ones in whole numbers of any size.
+    for i in np.flatnonzero(rough.ravel()).tolist():
+        mine = list(map(int, queries[i].tolist()))
+        for j in np.flatnonzero(q[i] * c >= EXACT).tolist():
+            out[i, j] = max(-MOST, min(MOST, sum(a * b for a, b in zip(mine, map(int, matrix[j].tolist()), strict=True))))
+    return out
+
+
 def _scored(batches: Iterator[pa.RecordBatch], queries: np.ndarray, rows: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, scores by query and candidate). Float64 products of whole numbers are exact below 2**53."""
+    """(ids, scores by query and candidate)."""
     for whole in batches:
         for at in range(0, whole.num_rows, rows):
             batch = whole.slice(at, rows)
             matrix, keep = _matrix(batch.column(1), queries.shape[1])
             if len(keep):
-                yield batch.column(0).to_numpy()[keep], np.rint(queries @ matrix.T.astype(np.float64)).astype(np.int64)
+                yield batch.column(0).to_numpy()[keep], exact_products(queries, matrix)
 
 
 def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, block: int = 4096) -> DataFrame:
-    """Both: vec_id long, v array<long>. The k best candidates of each query by inner product."""
+    """Both: vec_id long, v array<double> of whole numbers. The k best candidates of each query by inner product."""
     spark = candidates.sparkSession
     out = None
     for ids, vectors in _blocks(queries, block):
@@ -83,16 +116,16 @@ def _one_block(candidates: DataFrame, ids: np.ndarray, vectors: np.ndarray, k: i
     spark = candidates.sparkSession
     n = len(ids)
     dims = vectors.shape[1]
-    norms = candidates.filter(F.size("v") == dims).agg(F.max(F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x * x)).alias("m")).first().m
-    if norms is None:
+    # no score is larger than the query's sum of sizes times the largest component
+    most = candidates.filter(F.size("v") == dims).agg(F.max(F.array_max(F.transform("v", F.abs))).alias("m")).first().m
+    if most is None:
         return spark.createDataFrame([], RESULT)
-    reach = np.floor(np.sqrt((vectors**2).sum(axis=1) * float(norms))).astype(np.int64) + 1
-    if 2 * reach.max() >= 1 << 52:
-        raise ValueError("scores beyond 2**52 are not exact")
+    with np.errstate(over="ignore"):
+        reach = np.minimum(np.abs(vectors).sum(axis=1) * most * 1.001 + 1, float(MOST - 1024)).astype(np.int64) + 1024
     low, high = -reach, reach.copy()  # the k-th value is within low..high, or there are fewer than k candidates
     above = np.zeros(n, dtype=np.int64)  # candidates beyond high
     shared = spark.sparkContext.broadcast((ids, vectors))
-    rows = max(64, (4 << 20) // n)
+    rows = max(64, (2 << 20) // n)
     width = int(high.max() - low.min()) + 1
     while width > 1:
         step = -(-(high - low + 1) // BINS)  # bin width of each query

@@ -64,6 +64,23 @@ def test_top_k(spark):
     assert topk.search(df.limit(0), 50).count() == 0
 
 
+def test_top_k_of_large_components_and_several_lengths(spark):
+    from math import floor
+
+    rng = np.random.default_rng(1)
+    vectors = {i: [float(np.float32(x)) for x in rng.normal(0, 1, 3 + i % 2)] for i in range(40)}
+    vectors |= {50: [1e30, 1.0, -1e30], 51: [3e38, 3e38, 3e38], 52: [1e8, 5.0, 1.0], 53: [1e9, -1e7, 3.0], 54: [], 55: [0.0, 0.0, 0.0]}
+    df = spark.createDataFrame(list(vectors.items()), "vec_id long, embedding array<double>").repartition(3)
+    whole = {i: [floor(256 * x) for x in v] for i, v in vectors.items()}
+    got = {}
+    for r in topk.search(df, 5, 4, block=3).collect():
+        got.setdefault(r.query_id, []).append((r["rank"], r.vec_id, r.score))
+    for q in (i for i in vectors if i % 5 == 0 and vectors[i]):
+        scores = {c: sum(a * b for a, b in zip(whole[q], whole[c], strict=True)) for c in vectors if c != q and len(vectors[c]) == len(vectors[q])}
+        held = sorted((-max(-topk.MOST, min(topk.MOST, s)), c) for c, s in scores.items())[:4]
+        assert sorted(got[q]) == [(i + 1, c, -s) for i, (s, c) in enumerate(held)]
+
+
 def brute_bytes(rows, w=100):
     seen, out = set(), {}
     for i, t in sorted(rows):
@@ -113,7 +130,7 @@ def test_bpe_is_the_library(spark, docs, rows):
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(PATH)
-    odd = ["a  b", "\n\n a\tb", "don't we'll 's\n's it", "\x00 a \x00b", "é ñ\n\nü ", "123 abc456 !!!\n ?", "\x1c a\x85b", "日本 語　x", "a b", "😀 👩‍👧"]
+    odd = ["a\nb\n\nc", "a \nb", "\nx", "x\n", "a\r\nb", "end. Next, one;two", "a\n", "\n", " ", "A.b c", "a  b", "\n\n a\tb", "don't we'll 's\n's it", "\x00 a \x00b", "é ñ\n\nü ", "123 abc456 !!!\n ?", "\x1c a\x85b", "日本 語　x", "a b", "😀 👩‍👧"]
     more = table(spark, [(10_000 + i, t) for i, t in enumerate(odd)])
     texts = dict(rows) | {10_000 + i: t for i, t in enumerate(odd)}
     got = {r.doc_id: r for r in bpe.encode_decode(docs.unionByName(more), PATH, words=20, keep_ids=True).collect()}
@@ -126,9 +143,10 @@ def test_bpe_is_the_library(spark, docs, rows):
     assert bpe.encode_decode(docs.limit(0), PATH).count() == 0
 
 
-def test_lexicon_is_minimal_and_exact():
+def test_lexicon_is_minimal_and_exact(tmp_path):
     words = {b"tap": [1], b"taps": [2, 3], b"top": [4], b"tops": [5]}
-    lexicon = bpe.Lexicon(bpe.compile_lexicon(words))
+    (tmp_path / "lexicon").write_bytes(bpe.compile_lexicon(words))
+    lexicon = bpe.Lexicon(str(tmp_path / "lexicon"))
     found = lexicon.lookup([*words, b"ta", b"tapsx", b"q", b""])
     assert [None if x is None else np.frombuffer(x, "<u4").tolist() for x in found] == [*words.values(), None, None, None, None]
     assert len(lexicon.final) == 5  # root, t, a and o together, p, s
@@ -139,8 +157,11 @@ def test_lexicon_is_minimal_and_exact():
 
 
 def test_token_counts(spark, docs, rows):
-    enc = bpe.Encoder(PATH)
-    sizes = [len(enc.encode(t or "")) // 4 for _, t in rows]
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(PATH)
+    sizes = [len(library.encode(t or "", add_special_tokens=False).ids) for _, t in rows]
+    assert packing.length_histogram(packing.token_lengths(docs.limit(0), PATH)).count() == 0
     histogram = packing.length_histogram(packing.token_lengths(docs, PATH)).cache()
     for r in histogram.collect():
         n = r.n_tokens
@@ -218,7 +239,7 @@ def test_licenses(spark, docs, rows):
     got = {r.doc_id: r for r in licenses.scan(docs.unionByName(table(spark, own))).collect()}
     word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
     for i, t in [*rows, *own]:
-        lower = (t or "").translate(str.maketrans(licenses.UPPER, licenses.LOWER))
+        lower = re.sub("[A-Z]+", lambda m: m[0].lower(), t or "")
         ws, places, labels = word.findall(lower), [], set()
         for phrase, label in licenses.BASE_PHRASES.items():
             p = phrase.split()
@@ -233,13 +254,11 @@ def test_licenses(spark, docs, rows):
 
 
 def test_license_prefilter_lets_every_rule_through():
-    prefilter = re.compile(licenses.PREFILTER.replace("\\x{10FFFF}", "\U0010ffff"))
+    known = set(licenses.keywords(licenses.rules()))
     assert len(licenses.rules()) > 200
     for line in licenses.FAMILIES:
         for name in line.split(": ")[1].split("|"):
-            plain = " ".join(w for w in name.split() if not w.endswith("?"))
-            for text in (f"licensed under {plain}", f"{plain} license", f"license {plain}"):
-                assert prefilter.search(text)
+            assert known & {w for w in name.split() if not w.endswith("?")}
 
 
 def license_examples():
