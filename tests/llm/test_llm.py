@@ -289,22 +289,38 @@ def test_every_form_of_every_license_rule_is_found(spark):
     assert missed == []
 
 
+WORD = re.compile("[^\x20\x09-\x0d]+")
+
+
+def brute_measures(t, window=5):
+    t = t or ""
+    ws = WORD.findall(t)
+    grams = Counter(tuple(ws[a : a + window]) for a in range(len(ws) - window + 1))
+    cover = {b for a in range(len(ws) - window + 1) if grams[tuple(ws[a : a + window])] > 1 for b in range(a, a + window)}
+    lines = [x for x in t.split("\n") if WORD.search(x)]
+    return len(ws), sum(map(len, ws)), len(re.findall(r"[#*$%&|<>]", t)), len(lines) - len(set(lines)), len(cover)
+
+
 def test_quality_measures_and_base(spark, docs, rows):
     more = [(9001, "a b c d e a b c d e x " * 2 + "\nline one\nline one\n \n"), (9002, "# $ % <|> !! && ok"), (9003, None)]
     labels = spark.createDataFrame([(1, 1), (None, 0), (4, None), (99999, 0)], "doc_id long, quality int")
-    source = docs.unionByName(table(spark, more)).select("doc_id", "text", "lang")
-    got = {r.doc_id: r for r in quality.judge(source, labels).collect()}
-    word = re.compile("[^\x20\x09-\x0d]+")
+    source = docs.unionByName(table(spark, more))
+    source = source.selectExpr("*", "'keep' AS _w", "1 AS _g", "2 AS row", "3 AS kept", "4 AS stratum")
+    judged = quality.judge(source, labels)
+    assert judged.select("row.*").columns == source.columns
+    got = {r.row.doc_id: r for r in judged.collect()}
     for i, t in [*rows, *more]:
-        t = t or ""
-        ws = word.findall(t)
-        grams = Counter(tuple(ws[a : a + 5]) for a in range(len(ws) - 4))
-        cover = {b for a in range(len(ws) - 4) if grams[tuple(ws[a : a + 5])] > 1 for b in range(a, a + 5)}
-        lines = [x for x in t.split("\n") if word.search(x)]
         r = got[i]
-        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(ws), sum(map(len, ws)), len(re.findall(r"[#*$%&|<>]", t)), len(lines) - len(set(lines)), len(cover))
-        assert r.base_failed == (len(ws) < 10 or 100 * len(cover) > 20 * len(ws)) and r.kept == (not r.base_failed)  # too few labels certify nothing
+        want = brute_measures(t)
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == want
+        assert r.base_failed == (want[0] < 10 or 100 * want[4] > 20 * want[0]) and r.kept == (not r.base_failed)  # too few labels certify nothing
+        assert (r.row._w, r.row._g, r.row._t, r.row.n_words, r.row.text) == ("keep", 1, "x", 7, t)
     assert quality.judge(source.limit(0), labels).count() == 0
+    assert quality.judge(source, labels.limit(0)).filter("NOT kept AND NOT base_failed").count() == 0
+
+
+def tail(k, n, p):
+    return sum(comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k + 1))
 
 
 def test_binomial_tail_is_exact(spark):
@@ -313,19 +329,85 @@ def test_binomial_tail_is_exact(spark):
     cases = [(0, 500), (3, 500), (20, 400), (7, 7), (0, 0), (90, 3000)]
     got = [r.p for r in spark.createDataFrame(cases, "k long, n long").select(quality.binomial_tail(F.col("k"), F.col("n"), 0.02).alias("p")).collect()]
     for (k, n), p in zip(cases, got, strict=True):
-        want = 1.0 if n == 0 else sum(comb(n, i) * 0.02**i * 0.98 ** (n - i) for i in range(k + 1))
-        assert abs(p - want) < 1e-9
-
-
-def test_cutoffs_reject_what_labels_show(spark):
-    good = [(i, f"some plain words here number {i} and then a few more words of text", "en") for i in range(1500)]
-    bad = [(5000 + i, f"some $$$ %%% ### {i} *** &&& ||| $$$ ### words <<< and >>> more", "en") for i in range(200)]
-    labels = spark.createDataFrame([(i, 1) for i, *_ in good] + [(i, 0) for i, *_ in bad], "doc_id long, quality int")
-    unseen = [(9000, "other plain words that nobody has labelled as good but that are fine", "en"), (9001, "$$$ ### *** words %%% in &&& a ||| row of <<< symbols >>> here", "en"), (9002, "$$$ ### *** words %%% in &&& a ||| row of <<< symbols >>> here", None)]
-    docs = spark.createDataFrame(good + bad + unseen, "doc_id long, text string, lang string")
-    got = {r.doc_id: r.kept for r in quality.judge(docs, labels).collect()}
-    assert all(got[i] for i, *_ in good) and not any(got[i] for i, *_ in bad)
-    assert got[9000] and not got[9001] and got[9002]  # no labels in its stratum
+        assert abs(p - (1.0 if n == 0 else tail(k, n, 0.02))) < 1e-9
+    # far beyond what one term could hold: the normal limit
+    p = spark.sql("SELECT 59000L AS k, 3000000L AS n").select(quality.binomial_tail(F.col("k"), F.col("n"), 0.02).alias("p")).first().p
+    from statistics import NormalDist
+
+    assert abs(p - NormalDist(60000, (3_000_000 * 0.02 * 0.98) ** 0.5).cdf(59000.5)) < 1e-4
+
+
+def labelled_corpus():
+    """(id, text, stratum, quality or None): strata with many, few and no labels; junk by symbols, shouts and long words."""
+    rnd, out = random.Random(5), []
+    words = [f"word{i}" for i in range(300)]
+    for stratum, n in (("a", 1600), ("b", 700), ("c", 60), (None, 600), ("d", 0)):
+        for i in range(n + 80):
+            text = [rnd.choice(words) for _ in range(rnd.randint(12, 40))]
+            kind = rnd.random()
+            quality_ = 1
+            if kind < 0.08:
+                text[::2], quality_ = ["###"] * len(text[::2]), 0
+            elif kind < 0.12:
+                text, quality_ = [w + "!" * rnd.randint(1, 4) for w in text], 0
+            elif kind < 0.15:
+                text, quality_ = [w * 9 for w in text], 0
+            elif kind < 0.17:
+                text[3] = "!!"  # good ones that shout a little
+            elif kind < 0.18:
+                text = text[:5]
+            if rnd.random() < 0.02:
+                quality_ = 1 - quality_
+            out.append((len(out) + 1, " ".join(text), stratum, quality_ if i < n else None))
+    return out
+
+
+def brute_kept(judged, labels, risk, error):
+    """kept of each id, by the module's method, from its measures, in plain Python."""
+    import xxhash
+
+    value = {r.row.doc_id: {"symbols": r.n_symbols / max(r.n_words, 1), "shouts": r.n_shouts / max(r.n_words, 1), "dup_lines": r.n_dup_lines / max(r.n_lines, 1), "repeats": r.n_repeat_words / max(r.n_words, 1), "long_words": r.word_chars / max(r.n_words, 1), "short_words": -r.word_chars / max(r.n_words, 1)} for r in judged}
+    tune = {i: (xxhash.xxh64_intdigest(i.to_bytes(8, "little"), 42) - (1 << 64 if xxhash.xxh64_intdigest(i.to_bytes(8, "little"), 42) >> 63 else 0)) % quality.TUNE == 0 for i in value}
+    held = {r.row.doc_id: (r.row.lang, labels[r.row.doc_id]) for r in judged if not r.base_failed and labels.get(r.row.doc_id) is not None}
+    chosen = {}
+    for stratum in {s for s, _ in held.values()}:
+        found = []
+        for rule in quality.rates():
+            good = sorted(value[i][rule] for i, (s, q) in held.items() if s == stratum and q == 1 and tune[i])
+            bad = [value[i][rule] for i, (s, q) in held.items() if s == stratum and q == 0 and tune[i]]
+            cuts = {good[max(0, int(np.ceil(level * len(good))) - 1)] for level in quality.LEVELS} if good else set()
+            if cuts:
+                cuts.add(2 * max(cuts) - good[max(0, int(np.ceil(quality.LEVELS[0] * len(good))) - 1)])
+            tried = [(sum(v > c for v in bad) - quality.COST * sum(v > c for v in good), c) for c in cuts]
+            if tried and max(tried)[0] > 0:
+                c, worth = max((c, w) for w, c in tried if w >= quality.NEARLY * max(tried)[0])
+                found.append((-worth, rule, c))
+        if found:
+            chosen[stratum] = [(rule, c) for _, rule, c in sorted(found)]
+    limits = {}
+    for stratum, rules in chosen.items():
+        good = [i for i, (s, q) in held.items() if s == stratum and q == 1 and not tune[i]]
+        limits[stratum] = []
+        for n in range(1, len(rules) + 1):
+            k = sum(any(value[i][r] > c for r, c in rules[:n]) for i in good)
+            if not good or tail(k, len(good), risk) > error / len(chosen):
+                break
+            limits[stratum] = rules[:n]
+    return {r.row.doc_id: not r.base_failed and not any(value[r.row.doc_id][rule] > c for rule, c in limits.get(r.row.lang, [])) for r in judged}, limits
+
+
+def test_certified_cutoffs_are_those_of_plain_python(spark):
+    corpus_ = labelled_corpus()
+    docs = spark.createDataFrame([r[:3] for r in corpus_], "doc_id long, text string, lang string").repartition(3)
+    labels = spark.createDataFrame([(i, q) for i, _, _, q in corpus_ if q is not None], "doc_id long, quality int")
+    judged = quality.judge(docs, labels).collect()
+    want, limits = brute_kept(judged, {i: q for i, _, _, q in corpus_}, quality.RISK, quality.ERROR)
+    assert {r.row.doc_id: r.kept for r in judged} == want
+    assert len(limits["a"]) >= 2 and limits["b"] and limits[None] and not limits.get("c") and "d" not in limits
+    # what is certified holds for the unlabelled ones too
+    for stratum in ("a", "b", None):
+        lost = [r.kept for r in judged if r.row.lang == stratum and not r.base_failed and corpus_[r.row.doc_id - 1][3] is None and "#" not in r.row.text and "!" not in r.row.text and r.word_chars < 20 * r.n_words]
+        assert sum(not x for x in lost) <= 0.05 * len(lost)
 
 
 def brute_fingerprint(t, size=3):
