@@ -1,16 +1,23 @@
 """Main text of web pages by the maximum-scoring run of tokens (operator 4).
 
-A page becomes a list of tokens: tags score below zero, words by how often words in
-such surroundings were content in labelled pages. One linear scan finds the run of
+A page becomes a list of tokens: tags score below zero; words score by the elements and
+class names around them and by the texture of their block (prose, a scrap, mostly links),
+as often as such words were content in labelled pages. One linear scan finds the run of
 tokens with the highest sum; of its words those in surroundings that are mostly not
-content (adverts, notices, comments within an article) are left out.
+content (adverts, notices, comments within an article) are left out. Within an article or
+main element the run is extended to all other content of that element, so that lists of
+links at its edges stay.
+
+A stretch that is left out anyway costs the run little where the element that holds it
+also holds paragraphs (OWN_COST at most), else up to OTHER_COST.
 
 The weights are smoothed log-odds counted on the labelled pages of
 `labelled_pages()`, whose content lies between two marker comments.
 
 A null or empty page gives an empty text; broken markup (unclosed elements, a page
-that breaks off, '<' in the text) is read as browsers do, as far as text goes.
-Repeated rows give repeated rows; null page_id or url stay null.
+that breaks off, '<' in the text or in a script) is read as browsers do, as far as text
+goes; elements nested deeper than DEEPEST become siblings, as there. Repeated rows give
+repeated rows; null page_id or url stay null; no rows give no rows.
 """
 
 from __future__ import annotations
@@ -20,6 +27,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from itertools import groupby
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -31,11 +39,22 @@ from corefold.llm.common import slices, text_or_empty
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
 RAW = frozenset("script style noscript template textarea title iframe svg select".split())
 INLINE = frozenset("a abbr b bdi bdo cite code data dfn em font i kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
+CLOSED_BY = {"li": ("li",), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "option": ("option",)}
 CLOSES_P = frozenset("address article aside blockquote div dl fieldset footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)|<[!?][^>]*>", re.S)
+_RAW_END = {name: re.compile(rf"</{name}(?=[\s/>])[^>]*(?:>|\Z)", re.I) for name in RAW}
 _NAMES = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _WORD = re.compile(r"[A-Za-z]+")
+_SENTENCE = re.compile(r"[.!?:;。！？…][\"'”’»)]*$")
+#: Fixed value: the deepest nesting of browsers' parsers.
+DEEPEST = 512
+#: Elements whose words make the element that holds them one of content.
+PARAGRAPHS = frozenset("p h1 h2 h3 h4 h5 h6 ul ol dl pre blockquote table figure".split())
+#: What one left-out stretch takes from a run at most, among paragraphs and elsewhere.
+OWN_COST, OTHER_COST = 5.0, 60.0
+#: Words from which on a block is prose, whatever it ends with.
+LONG = 12
 BEGIN, END = "<!--content-->", "<!--/content-->"
 
 
@@ -47,77 +66,109 @@ def _features(name: str, attributes: str) -> tuple[str, ...]:
     return tuple(dict.fromkeys(found))
 
 
-def tokens(page: str) -> Iterator[tuple[str, object, tuple]]:
-    """('text', string, features of the open elements), ('tag', name, ...), ('block', '', ...) or ('mark', comment, ...)."""
-    stack: list[tuple[str, tuple[str, ...]]] = []
-    context: tuple[str, ...] = ()
+class Element:
+    """An open element: its features and those of all it lies in."""
 
-    def opened() -> tuple[str, ...]:
-        return tuple(dict.fromkeys(f for _, fs in stack for f in fs))
+    __slots__ = ("name", "parent", "depth", "context", "names", "holds", "judged")
 
-    at, raw = 0, ""
-    for m in _TOKEN.finditer(page):
-        if raw:  # only the end tag of a raw element counts
-            if not (m[0].startswith("</") and (m[2] or m[5] or "").lower() == raw):
-                continue
-            stack.pop()
-            context, raw, at = opened(), "", m.end()
-            yield "tag", "/" + (m[2] or m[5]).lower(), context
-            continue
+    def __init__(self, name: str, parent: Element | None, features: tuple[str, ...]):
+        self.name, self.parent = name, parent
+        self.depth = parent.depth + 1 if parent else 0
+        self.context: tuple[str, ...] = (*parent.context, *(f for f in features if f not in parent.context)) if parent else ()
+        self.names: frozenset[str] = parent.names | {name} if parent else frozenset()
+        self.holds = False  # a paragraph of content, so far
+        self.judged: tuple[float, bool] | None = None
+
+    def block(self) -> Element:
+        """The innermost element around that is not inline."""
+        here = self
+        while here.name in INLINE and here.parent:
+            here = here.parent
+        return here
+
+
+def tokens(page: str) -> Iterator[tuple[str, object, Element]]:
+    """('text', string, innermost open element), ('tag', name, ...) or ('mark', comment, ...)."""
+    here = Element("", None, ())
+    at = 0
+    while m := _TOKEN.search(page, at):
         if m.start() > at:
-            yield "text", page[at : m.start()], context
+            yield "text", page[at : m.start()], here
         at = m.end()
         if m[0].startswith("<!--"):
-            yield "mark", m[0], context
+            yield "mark", m[0], here
             continue
         name = (m[2] or m[5] or "").lower()
         if not name:
             continue
         if m[1] or m[4]:
-            if any(n == name for n, _ in stack):
-                while stack.pop()[0] != name:
-                    pass
-                context = opened()
+            if name in here.names:
+                while here.name != name:
+                    here = here.parent
+                here = here.parent
         else:
-            if name in CLOSES_P and stack and any(n == "p" for n, _ in stack):
-                cut = max(i for i, (n, _) in enumerate(stack) if n == "p")
-                if all(n in INLINE for n, _ in stack[cut + 1 :]):
-                    del stack[cut:]
-            elif name in ("li", "td", "th", "tr", "dt", "dd", "option") and stack and stack[-1][0] == name:
-                stack.pop()
+            if name in CLOSES_P and "p" in here.names:
+                up = here
+                while up.name in INLINE:
+                    up = up.parent
+                if up.name == "p":
+                    here = up.parent
+            elif name in CLOSED_BY and here.name in CLOSED_BY[name]:
+                here = here.parent
             attributes = m[3] or m[6] or ""
+            if name in RAW:  # nothing in it is markup; only its own end tag ends it
+                yield "tag", name, here
+                if not attributes.endswith("/") or name in ("script", "style", "textarea", "title"):
+                    end = _RAW_END[name].search(page, at)
+                    at = end.end() if end else len(page)
+                    yield "tag", "/" + name, here
+                continue
             if name not in VOID and not attributes.endswith("/"):
-                stack.append((name, _features(name, attributes)))
-                if name in RAW:
-                    raw = name
-            context = opened()
-        yield "tag", ("/" if m[1] or m[4] else "") + name, context
-    if at < len(page) and not raw:
-        yield "text", page[at:], context
+                here = Element(name, here if here.depth < DEEPEST else here.parent, _features(name, attributes))
+        yield "tag", ("/" if m[1] or m[4] else "") + name, here
+    if at < len(page):
+        yield "text", page[at:], here
+
+
+Block = list[tuple[str, object, Element]]
+
+
+def blocks(page: str) -> Iterator[tuple[str, Block]]:
+    """(texture, tokens) of each block: what stands between two tags that are not inline; '' for such tags themselves."""
+    inner = lambda t: t[0] == "text" or t[0] == "tag" and t[1].strip("/") in INLINE
+    for together, found in groupby(tokens(page), key=inner):
+        if not together:
+            yield from (("", [t]) for t in found)
+            continue
+        found = list(found)
+        words = linked = 0
+        last = ""
+        for kind, value, here in found:
+            if kind == "text" and (n := len(value.split())):
+                words += n
+                linked += n * ("a" in here.names)
+                last = value
+        yield "links" if 2 * linked > words else "prose" if words >= LONG or _SENTENCE.search(last.rstrip()) else "scrap", found
 
 
 class Weights:
-    """Scores of tags and of words by surroundings."""
+    """Scores of tags, and of words by surroundings and by their block's texture."""
 
-    def __init__(self, tag: dict[str, float], near: dict[str, float], base: float):
-        self.tag, self.near, self.base = tag, near, base
-        self._memory: dict[tuple, float] = {}
+    def __init__(self, tag: dict[str, float], near: dict[str, float], texture: dict[str, float], base: float):
+        self.tag, self.near, self.texture, self.base = tag, near, texture, base
 
-    def word(self, context: tuple[str, ...]) -> tuple[float, bool]:
+    def word(self, here: Element) -> tuple[float, bool]:
         """A word's score: base, or less where an open element is one that mostly holds no content.
 
         And whether a word there is content if the run has it: links lower the score,
         as menus are made of them, but a link within content is content.
         """
-        if (w := self._memory.get(context)) is None:
-            worst = min((self.near.get(f, 0.0) for f in context), default=0.0)
-            block = min((self.near.get(f, 0.0) for f in context if f not in INLINE), default=0.0)
-            if len(self._memory) > 50_000:
-                self._memory.clear()
+        if here.judged is None:
+            worst = min((self.near.get(f, 0.0) for f in here.context), default=0.0)
+            block = min((self.near.get(f, 0.0) for f in here.context if f not in INLINE), default=0.0)
             kept = self.base + min(0.0, block) > 0
-            # what is left out anyway costs little, else an advert would cut an article in two
-            w = self._memory[context] = self.base + min(0.0, worst) if kept else -0.3, kept
-        return w
+            here.judged = self.base + min(0.0, worst) if kept else -0.3, kept
+        return here.judged
 
 
 def fit(pages: list[str]) -> Weights:
@@ -126,20 +177,26 @@ def fit(pages: list[str]) -> Weights:
     outside: Counter = Counter()
     tag_in: Counter = Counter()
     tag_out: Counter = Counter()
+    texture_in: Counter = Counter()
+    texture_out: Counter = Counter()
     for page in pages:
         within = False
-        for kind, value, context in tokens(page):
-            if kind == "mark":
-                within = value == BEGIN or within and value != END
-            elif kind == "tag":
-                (tag_in if within else tag_out)[value] += 1
-            elif n := len(str(value).split()):
-                for f in context:
-                    (inside if within else outside)[f] += n
+        for texture, found in blocks(page):
+            for kind, value, here in found:
+                if kind == "mark":
+                    within = value == BEGIN or within and value != END
+                elif kind == "tag":
+                    (tag_in if within else tag_out)[value] += 1
+                elif n := len(str(value).split()):
+                    (texture_in if within else texture_out)[texture] += n
+                    for f in here.context:
+                        (inside if within else outside)[f] += n
     odds = lambda a, b: math.log((a + 0.5) / (b + 0.5))
     near = {f: 2 * odds(inside[f], outside[f]) for f in set(inside) | set(outside)}
     tag = {t: min(-0.1, odds(tag_in[t], tag_out[t]) / 8 - 0.1) for t in set(tag_in) | set(tag_out)}
-    return Weights(tag, near, 1.0)
+    usual = odds(sum(texture_in.values()), sum(texture_out.values()))
+    texture = {t: max(-0.5, min(0.5, (odds(texture_in[t], texture_out[t]) - usual) / 4)) for t in set(texture_in) | set(texture_out)}
+    return Weights(tag, near, texture, 1.0)
 
 
 def labelled_pages() -> list[str]:
@@ -178,35 +235,79 @@ def default_weights() -> Weights:
     return _WEIGHTS[0]
 
 
+def _container(items: list, begin: int, end: int) -> Element | None:
+    """The innermost article or main element around all kept words of a run."""
+    around: Element | None = None
+    for _, add, here, kept in items[begin:end]:
+        if not kept or add.isspace():
+            continue
+        if around is None:
+            around = here
+            continue
+        while around.depth > here.depth:
+            around = around.parent
+        while here.depth > around.depth:
+            here = here.parent
+        while around is not here:
+            around, here = around.parent, here.parent
+    while around is not None and around.name not in ("article", "main"):
+        around = around.parent
+    return around
+
+
+def _lies_in(here: Element, around: Element) -> bool:
+    while here.depth > around.depth:
+        here = here.parent
+    return here is around
+
+
 def extract(page: str | None, weights: Weights | None = None) -> str:
     """The main text of one page."""
     weights = weights or default_weights()
-    items: list[tuple[float, str]] = []  # score, what it adds to the text
+    items: list[tuple[float, str, Element, bool]] = []  # score, what it adds to the text, where, whether it adds words
     best, best_from, best_to = 0.0, 0, 0
-    running, since = 0.0, 0
-    for kind, value, context in tokens(page or ""):
-        if kind == "mark":
-            continue
-        if kind == "tag":
-            score = weights.tag.get(value, -0.3)
-            add = "" if value.strip("/") in INLINE else " "
-        else:
-            text = html.unescape(value)
-            each, kept = weights.word(context)
-            score, add = each * len(text.split()), text if kept else " "
-        items.append((score, add))
-        running += score
-        if running > best:
-            best, best_from, best_to = running, since, len(items)
-        if running <= 0:
-            running, since = 0.0, len(items)
-    return " ".join("".join(add for _, add in items[best_from:best_to]).split())
+    running, since, spent = 0.0, 0, 0.0
+    for texture, found in blocks(page or ""):
+        lift = weights.texture.get(texture, 0.0)
+        for kind, value, here in found:
+            if kind == "mark":
+                continue
+            each, kept = weights.word(here)
+            if kind == "tag":
+                score, words = weights.tag.get(value, -0.3), False
+                add = "" if value.strip("/") in INLINE - {"br"} else " "
+            else:
+                text = html.unescape(value)
+                n = len(text.split())
+                score, add, words = (each + lift if kept else each) * n, text if kept else " ", kept and n > 0
+                if words and (block := here.block()).name in PARAGRAPHS or words and block.name in ("li", "td", "th", "dd", "dt"):
+                    if block.parent:
+                        block.parent.holds = True
+            if kept:
+                spent = 0.0
+            else:  # left out anyway; else an advert would cut an article in two
+                top = here
+                while top.parent and not weights.word(top.parent)[1]:
+                    top = top.parent
+                limit = OWN_COST if top.parent and top.parent.holds else OTHER_COST
+                score = -min(-score, max(0.0, limit - spent))
+                spent -= score
+            items.append((score, add, here, words))
+            running += score
+            if running > best:
+                best, best_from, best_to = running, since, len(items)
+            if running <= 0:
+                running, since = 0.0, len(items)
+    if best_to and (around := _container(items, best_from, best_to)) is not None:
+        held = [i for i, (_, _, here, words) in enumerate(items) if words and _lies_in(here, around)]
+        best_from, best_to = min(best_from, held[0]), max(best_to, held[-1] + 1)
+    return " ".join("".join(add for _, add, _, _ in items[best_from:best_to]).split())
 
 
 def extract_pages(pages: DataFrame, weights: Weights | None = None) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     weights = weights or default_weights()
-    chosen = weights.tag, weights.near, weights.base
+    chosen = weights.tag, weights.near, weights.texture, weights.base
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Weights(*chosen)

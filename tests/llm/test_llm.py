@@ -233,6 +233,64 @@ def test_html_on_held_out_pages(spark, sf):
         assert html_extract.extract(r.html) == want
 
 
+PARAGRAPH = "<p>Some real article text that goes on with many words, and then more words follow it here.</p>"
+
+
+@pytest.mark.parametrize("before", ["<script>if(a<b){x()}</script>", "<script>for(i=0;i<n;i++){}</script>", "<script>var a='<!--';</script>", "<style>a<b{c:'</p>'}</style>", "<textarea><p>x</textarea>", "<SCRIPT src=a>'</scripty>'</Script >", "<title>a<b</title>", "<!-- <article> -->", "<noscript><p>enable</noscript>"])
+def test_what_is_within_scripts_is_no_markup(before):
+    want = "Head line " + " ".join([PARAGRAPH[3:-4]] * 4)
+    for page in (f"<html><body>{before}<article><h1>Head line</h1>{PARAGRAPH * 4}</article><footer>foot</footer></body></html>", f"<article><h1>Head line</h1>{before}{PARAGRAPH * 4}</article><script>never ends a<b"):
+        assert html_extract.extract(page) == want
+
+
+def test_boxes_and_links_within_an_article():
+    box = "<div class='newsletter'><form><label>Mail me now</label></form>" + "buy this word now please " * 30 + "</div>"
+    lead, links = "<p>One lead stands here.</p>", "<ul><li><a href=/x>see one</a></li><li><a href=/y>see two</a></li></ul>"
+    want = "See all Head line One lead stands here. " + " ".join([PARAGRAPH[3:-4]] * 3) + " see one see two"
+    for name in ("article", "main"):
+        page = f"<body><nav><a href=/>Home</a></nav><{name}><p><a href=/all>See all</a></p><h1>Head line</h1>{lead}{box}{PARAGRAPH * 3}{links}</{name}><ul><li><a href=/z>other</a></li></ul>"
+        assert html_extract.extract(page) == want
+    page = f"<body><div class='post'><h1>Head line</h1>{lead}{box}{PARAGRAPH * 3}</div><footer>foot</footer>"
+    assert html_extract.extract(page) == "Head line One lead stands here. " + " ".join([PARAGRAPH[3:-4]] * 3)
+
+
+def test_long_and_deep_pages(spark):
+    deep = "<div class=a>" * 30_000 + PARAGRAPH * 3
+    long = "<article>" + PARAGRAPH * 60_000 + "</article>"
+    rows = [(1, "u", deep), (2, "u", long), (3, "u", "<" * 100_000), (4, "u", "x" * 1_000_000), (5, "u", "<!--" * 10_000), (6, "u", "<a <b " * 10_000)]
+    got = {r.page_id: r for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[1].text == " ".join([PARAGRAPH[3:-4]] * 3) and got[2].n_chars == 60_000 * (len(PARAGRAPH) - 6) - 1 and got[4].n_chars == 1_000_000 and got[5].text == ""
+    empty = spark.createDataFrame([], "page_id long, url string, html string, text string, n_chars long")
+    assert html_extract.extract_pages(empty).collect() == []
+
+
+def shapes(article, menu, notes):
+    """Pages whose make-up is none of labelled_pages(): (html)."""
+    links = "".join(f"<li><a href='/{i}'>{w}</a></li>" for i, w in enumerate(menu))
+    bar = f"<div class='topbar'><ul>{links}</ul></div>"
+    return [
+        f"<body><div id='wrapper'>{bar}<div class='col-8'>{article}</div><div class='col-4'><h4>{notes}</h4><ul>{links}</ul></div></div><div class='legal'><a href='/l'>{notes}</a></div></body>",
+        f"<body><table><tr><td><ul>{links}</ul></td><td>{article}</td></tr></table><small><a href='/'>{notes}</a></small></body>",
+        f"<body><nav>{bar}</nav><main><div><div>{article}</div></div></main><footer><div><span>{notes}</span></div></footer></body>",
+        f"<body><header><a href='/'>{notes}</a></header><section><div class='story-body'>{article}</div></section><aside><p>{notes}</p></aside></body>",
+        f"<body>{bar}{article}<ul>{links}</ul></body>",
+        f"<html><head><script>if(a<b)x('<nav>')</script></head><body><div role='navigation'>{links}</div><div class='text'>{article}</div><div class='comments'><p>{notes}</p></div></body></html>",
+    ]
+
+
+def test_html_precision_and_recall_on_other_shapes(spark, sf):
+    right = found = wanted = 0
+    for r in spark.read.parquet(f"{sf}/pages.parquet").limit(25).collect():
+        article = re.search(r"<article>(.*?)</article>", r.html, re.S)[1]
+        want = Counter(html_extract.extract(f"<article>{article}</article>").split())
+        menu = re.findall(r"<li><a[^>]*>([^<]*)</a>", r.html) or ["Home", "News"]
+        for page in shapes(article, menu, "Some notes at the edge"):
+            got = Counter(html_extract.extract(page).split())
+            right, found, wanted = right + (got & want).total(), found + got.total(), wanted + want.total()
+    print("precision", right / found, "recall", right / wanted)
+    assert right / found > 0.97 and right / wanted > 0.99
+
+
 def test_licenses(spark, docs, rows):
     texts = ["Licensed under the Apache License, Version 2.0. All rights reserved.", "CC-BY cc by CC  BY", "Released under the MIT License", "SPDX-License-Identifier: MPL-2.0", "x cc byte", "All Rights\nReserved and general public license all rights reserved", None, "", "mit der Zeit"]
     own = list(enumerate(texts, 5000))
