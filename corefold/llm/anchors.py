@@ -13,20 +13,17 @@ from __future__ import annotations
 import numpy as np
 
 _U = np.uint64
-BASE = _U(0x9E3779B97F4A7C15 | 1)
-BASE_INV = _U(pow(int(BASE), -1, 1 << 64))
-
-
+_REMEMBERED = 1 << 20
 _POWERS: dict[int, np.ndarray] = {}
 
 
 def powers(base: np.uint64, n: int) -> np.ndarray:
-    """base**0 .. base**(n-1) modulo 2**64; remembered up to some millions."""
+    """base**0 .. base**(n-1) modulo 2**64; the first million are remembered."""
     known = _POWERS.get(int(base))
     if known is None or len(known) < n:
-        known = _powers(base, max(n, 1 << 16) * 5 // 4)
-        if n <= 1 << 23:
-            _POWERS[int(base)] = known
+        if n > _REMEMBERED:
+            return _powers(base, n)
+        known = _POWERS[int(base)] = _powers(base, min(_REMEMBERED, max(n, 1 << 16) * 2))
     return known[:n]
 
 
@@ -54,53 +51,72 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def prefix_sums(codes: np.ndarray) -> np.ndarray:
-    """P[i] = sum of codes[j] * BASE**j for j < i; one more entry than codes."""
-    out = np.zeros(len(codes) + 1, dtype=_U)
-    with np.errstate(over="ignore"):
-        np.cumsum(codes * powers(BASE, len(codes)), out=out[1:])
-    return out
+class Scheme:
+    """One way of hashing: a base and a code for each byte. Schemes of different numbers are independent."""
 
+    def __init__(self, number: int):
+        salt = _U((number * 2 + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)
+        self.base = salt | _U(1)
+        self.inverse = _U(pow(int(self.base), -1, 1 << 64))
+        with np.errstate(over="ignore"):
+            self.bytes = mix(np.arange(1, 257, dtype=_U) * _U(0xD6E8FEB86659FD93) + salt)
 
-def span_hash(prefix: np.ndarray, inverse: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """Hash of codes[start:end], whatever the position it stands at."""
-    with np.errstate(over="ignore"):
-        return (prefix[end] - prefix[start]) * inverse[start]
+    def prefix(self, codes: np.ndarray) -> np.ndarray:
+        """P[i] = sum of codes[j] * base**j for j < i; one more entry than codes."""
+        out = np.zeros(len(codes) + 1, dtype=_U)
+        with np.errstate(over="ignore"):
+            np.cumsum(codes * powers(self.base, len(codes)), out=out[1:])
+        return out
 
+    def spans(self, prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Hash of codes[start:end], whatever the position it stands at."""
+        with np.errstate(over="ignore"):
+            return (prefix[end] - prefix[start]) * powers(self.inverse, len(prefix))[start]
+
+
+_SCHEMES: dict[int, Scheme] = {}
 
-BYTE_CODES = mix(np.arange(1, 257, dtype=_U) * _U(0xD6E8FEB86659FD93))
+
+def scheme(number: int) -> Scheme:
+    if number not in _SCHEMES:
+        _SCHEMES[number] = Scheme(number)
+    return _SCHEMES[number]
 
 
 class Anchors:
     """Anchors of one batch of documents, laid end to end.
 
-    `codes`: a 64-bit code per symbol; `begin`: the first symbol of each
-    document, and the total at the end. Fields, one entry for each context:
-    `doc` (index in the batch), `first`, `last` (first and last window start,
-    counted in the whole batch), `h` (the anchor's hash), `ctx` (the context's).
+    `codes`: two independent 64-bit codes of each symbol (by the schemes 2 * seed and
+    2 * seed + 1); `begin`: the first symbol of each document, and the total at the end.
+    Fields, one entry for each context: `doc` (index in the batch), `first`, `last` (first
+    and last window start, counted in the whole batch), `h` (the anchor's hash), `ctx` and
+    `alt` (two independent hashes of the context with its anchor's place).
     """
 
-    def __init__(self, codes: np.ndarray, begin: np.ndarray, w: int, k: int):
-        n = len(codes)
-        self.w = w
-        self.prefix = prefix_sums(codes)
-        self.inverse = powers(BASE_INV, n + 1)
+    def __init__(self, codes: tuple[np.ndarray, np.ndarray], begin: np.ndarray, w: int, k: int, seed: int = 0):
+        n = len(codes[0])
         empty = np.zeros(0, dtype=np.int64)
         self.doc = self.first = self.last = empty
-        self.h = self.ctx = np.zeros(0, dtype=_U)
+        self.h = self.ctx = self.alt = np.zeros(0, dtype=_U)
         if n < w:
             return
+        one, two = scheme(2 * seed), scheme(2 * seed + 1)
+        prefix = one.prefix(codes[0])
         with np.errstate(over="ignore"):
-            grams = mix((self.prefix[k:] - self.prefix[:-k]) * self.inverse[: n - k + 1])
+            grams = prefix[k:] - prefix[:-k]
+            grams *= powers(one.inverse, n - k + 1)
+        grams = mix(grams)
         bits = max(1, int(n).bit_length())
         low = _U((1 << bits) - 1)
-        least = (grams & ~low) | np.arange(len(grams), dtype=_U)
+        least = grams & ~low
+        least |= np.arange(len(grams), dtype=_U)
         width, done = w - k + 1, 1
         while done < width:
             step = min(done, width - done)
             least = np.minimum(least[:-step], least[step:])
             done += step
-        at = (least & low).astype(np.int64)  # of the window that starts here
+        least &= low
+        at = least.astype(np.int64)  # of the window that starts here
         del least
         lengths = np.diff(begin)
         ends = np.zeros(n + 1, dtype=np.int8)  # 1 where windows may start
@@ -127,10 +143,11 @@ class Anchors:
         self.last = stop - 1
         self.h = grams[at[self.first]]
         offset = (at[self.first] - self.first).astype(_U)
-        span = span_hash(self.prefix, self.inverse, self.first, self.last + w)
+        del grams, at, valid, new
+        end = self.last + w
         with np.errstate(over="ignore"):
-            self.ctx = mix(span + offset * _U(0xA24BAED4963EE407) + (self.last - self.first).astype(_U) * _U(0x9FB21C651E98DF25))
+            place = offset * _U(0xA24BAED4963EE407) + (self.last - self.first).astype(_U) * _U(0x9FB21C651E98DF25)
+            self.ctx = mix(one.spans(prefix, self.first, end) + place)
+            del prefix
+            self.alt = mix(two.spans(two.prefix(codes[1]), self.first, end) ^ place)
         self.doc = np.searchsorted(begin, self.first, side="right") - 1
-
-    def window_hashes(self, starts: np.ndarray) -> np.ndarray:
-        return mix(span_hash(self.prefix, self.inverse, starts, starts + self.w))

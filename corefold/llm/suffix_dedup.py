@@ -26,9 +26,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corefold.llm import suffix, windows
-from corefold.llm.anchors import BASE_INV, BYTE_CODES, mix, powers, prefix_sums, span_hash
+from corefold.llm.anchors import mix, scheme
 from corefold.llm.common import give_back, partitions_for, slices, text_or_empty, written
 
+RUN = np.dtype([("doc", "<i8"), ("tid", "<i8"), ("first", "<i4"), ("size", "<i4")])
 #: Bytes of tuples that a shard's queue holds before it uses the disk.
 QUEUE_MEMORY = 64 << 20
 
@@ -38,7 +39,7 @@ def cut_out(docs: DataFrame, found: DataFrame, spec: windows.Spec, parts: int) -
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, "text", 2 << 20):
+            for batch in slices(whole, "text", windows.SLICE):
                 texts = [t.encode() for t in batch.column(2).to_pylist()]
                 doc, tid, first, size, key, data = [], [], [], [], [], []
                 for i, blob in enumerate(batch.column(3).to_pylist()):
@@ -53,49 +54,80 @@ def cut_out(docs: DataFrame, found: DataFrame, spec: windows.Spec, parts: int) -
                     key.append(h)
                     doc.append(np.full(len(a), batch.column(0)[i].as_py(), dtype=np.int64))
                     tid.append(np.full(len(a), batch.column(1)[i].as_py(), dtype=np.int64))
-                shard = (np.concatenate(key) >> np.uint64(20)) % np.uint64(parts)
-                yield from windows.by_part(shard, 0, np.concatenate(doc), np.concatenate(tid), np.concatenate(first).astype(np.int32), np.concatenate(size).astype(np.int32), np.array(data, dtype=object))
+                shard = mix(np.concatenate(key)) % np.uint64(parts)
+                yield from _by_shard(shard, np.concatenate(doc), np.concatenate(tid), np.concatenate(first).astype(np.int32), np.concatenate(size).astype(np.int32), np.array(data, dtype=object))
+        give_back()
 
     return windows.map_joined(docs, found.filter(F.length("open") > 0).select("doc_id", "tid", "open"), run, windows.PACKED, "inner")
 
 
+def _by_shard(shard: np.ndarray, doc: np.ndarray, tid: np.ndarray, first: np.ndarray, size: np.ndarray, data: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """One row for each shard: its runs' records and texts, compressed."""
+    import zstandard
+
+    order = np.argsort(shard, kind="stable")
+    shard = shard[order]
+    cut = np.concatenate([[0], np.flatnonzero(shard[1:] != shard[:-1]) + 1, [len(shard)]])
+    runs, data = windows.records(RUN, doc, tid, first, size)[order], data[order]
+    press = zstandard.ZstdCompressor(level=1).compress
+    blobs = [press(b"".join([np.int64(b - a).tobytes(), runs[a:b].tobytes(), *data[a:b].tolist()])) for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
+    part = pa.array(shard[cut[:-1]].astype(np.int32))
+    yield pa.RecordBatch.from_arrays([part, pa.array([windows.PIECES] * len(blobs), pa.int32()), pa.array(blobs, pa.binary())], names=["part", "kind", "blob"])
+
+
+def _of_shard(table: pa.Table) -> tuple[np.ndarray, list[bytes]]:
+    """The runs of a shard, and their texts."""
+    import zstandard
+
+    runs, data = [], []
+    for blob in table.column("blob"):
+        raw = zstandard.ZstdDecompressor().decompress(blob.as_buffer())
+        at = 8 + int(np.frombuffer(raw, "<i8", 1)[0]) * RUN.itemsize
+        own = np.frombuffer(raw[8:at], dtype=RUN)
+        runs.append(own)
+        for size in own["size"].tolist():
+            data.append(raw[at : at + size])
+            at += size
+    return np.concatenate(runs), data
+
+
 def _apart(text: np.ndarray, first: np.ndarray, n: np.ndarray, h: np.ndarray, hot: np.ndarray, w: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Hot runs cut into single strings, each dealt out by its own hash."""
-    prefix, inverse = prefix_sums(BYTE_CODES[text]), powers(BASE_INV, len(text) + 1)
+    own = scheme(0)
+    prefix = own.prefix(own.bytes[text])
     a, m = first[hot], n[hot]
     within = np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
     starts = np.repeat(a, m) + within
-    keys = mix(span_hash(prefix, inverse, starts, starts + w))
+    keys = mix(own.spans(prefix, starts, starts + w))
     cold = ~hot
     return np.concatenate([first[cold], starts]), np.concatenate([n[cold], np.ones(len(starts), dtype=np.int64)]), np.concatenate([h[cold], keys])
 
 
 def sort_shards(packed: DataFrame, spec: windows.Spec, parts: int, memory: int = QUEUE_MEMORY) -> DataFrame:
-    """Repeats by document (kind 1), found by sorting each shard's suffixes."""
+    """Repeats by document, found by sorting each shard's suffixes."""
 
     def run(table: pa.Table) -> pa.Table:
-        out: list[pa.RecordBatch] = []
-        if found := windows._gather(table, 0):
-            doc, tid, first, size, data = found
-            places, groups = _equal_strings(size, data, spec.w, memory)
-            end = np.cumsum(size.astype(np.int64) + 1)
-            run_of = np.searchsorted(end, places, side="right")
-            at = places - (end[run_of] - size[run_of] - 1)
-            fits = at + spec.w <= size[run_of]
-            run_of, at, groups = run_of[fits], at[fits], groups[fits]
-            start = (first[run_of] + at).astype(np.int32)
-            d, t = doc[run_of], tid[run_of]
-            c = windows.classes(groups, d, start, spec.by_doc)
-            out += windows._send_repeats(1, parts, c, d, t, start, np.zeros(len(start), dtype=np.int32))
+        runs, data = _of_shard(table)
+        size = runs["size"]
+        places, groups = _equal_strings(data, spec.w, memory)
+        end = np.cumsum(size.astype(np.int64) + 1)
+        run_of = np.searchsorted(end, places, side="right")
+        at = places - (end[run_of] - size[run_of] - 1)
+        fits = at + spec.w <= size[run_of]
+        run_of, at, groups = run_of[fits], at[fits], groups[fits]
+        start = (runs["first"][run_of] + at).astype(np.int32)
+        d, t = runs["doc"][run_of], runs["tid"][run_of]
+        c = windows.classes((groups,), d, start, spec.by_doc)
+        out = list(windows.send_repeats(parts, c, d, t, start, np.zeros(len(start), dtype=np.int32)))
         give_back()
-        return pa.Table.from_batches(out, schema=pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
+        return windows.sent(out)
 
     return packed.groupBy("part").applyInArrow(run, windows.PACKED)
 
 
-def _equal_strings(size: np.ndarray, data: np.ndarray, w: int, memory: int) -> tuple[np.ndarray, np.ndarray]:
+def _equal_strings(data: list[bytes], w: int, memory: int) -> tuple[np.ndarray, np.ndarray]:
     """(places, class) of the suffixes whose first w bytes another suffix has too; each text ends with one 0 more."""
-    text = np.frombuffer(b"\xff".join([*data.tolist(), b""]), dtype=np.uint8) + np.uint8(1)  # UTF-8 has no byte 255
+    text = np.frombuffer(b"\xff".join([*data, b""]), dtype=np.uint8) + np.uint8(1)  # UTF-8 has no byte 255
     order, common = suffix.sorted_suffixes(text, w, memory)
     same = common >= w
     member = same.copy()
@@ -104,9 +136,9 @@ def _equal_strings(size: np.ndarray, data: np.ndarray, w: int, memory: int) -> t
     return order[member].astype(np.int64), group[member]
 
 
-def remove_repeats(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
+def remove_repeats(docs: DataFrame, w: int = 100, k: int = 32, **limits: int) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the bytes that are left), of every row."""
-    found = repeats(docs, w, k)
+    found = repeats(docs, w, k, **limits)
     everything = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).withColumn("tid", F.xxhash64("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -161,9 +193,9 @@ def remove_spans(data: bytes, blobs: list[bytes] | None, w: int) -> tuple[bytes,
     return b"".join(kept), len(a)
 
 
-def repeats(docs: DataFrame, w: int = 100, k: int = 32) -> DataFrame:
-    """doc_id, tid, spans (packed) of the documents that repeat a string of w bytes."""
-    spec = windows.Spec(w, k, words=False, by_doc=False)
+def repeats(docs: DataFrame, w: int = 100, k: int = 32, **limits: int) -> DataFrame:
+    """doc_id, tid, spans (packed) of the documents that repeat a string of w bytes. limits: hot, heavy, flush (see windows.Spec)."""
+    spec = windows.Spec(w, k, words=False, by_doc=False, **limits)
     parts = partitions_for(docs, 6 << 20)
     known = windows.identified(docs)
     found = windows.repeated(known, spec, parts)

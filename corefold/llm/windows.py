@@ -1,19 +1,24 @@
 """Windows that also stand elsewhere: the stages that operators 2 and 10 share.
 
-1. Every document's anchors (see `anchors`) go to parts by their hash, packed: one row
-   for each task and part. A task drops what it can already tell to be a repeat.
-2. In a part, equal contexts are one class; all but its earliest place are repeats.
+1. Every document's anchors (see `anchors`), without what a task can already tell to be a
+   repeat, are written down, with a count of them by bucket of their hash (an array of
+   fixed size for each task).
+2. They are dealt to parts by their hash. Where a bucket holds far more than its share,
+   some anchor is very common: its records are dealt by their whole context instead.
+3. In a part, equal contexts are one class; all but its earliest place are repeats.
    Earliest places whose anchor has several different contexts stay open: some of their
-   windows may stand in another context of the anchor.
-3. Both go back to the documents' buckets, and become one row per document.
+   windows may stand in another context of the anchor. So do all of a bucket dealt by context.
+4. All go back to the documents' buckets, and become one row per document.
 
-Open contexts are resolved by the operators, each by its own method. Documents are told
-apart by doc_id and a hash of their text (`tid`), and ordered by doc_id.
+Contexts are equal if both of two independent 64-bit hashes and the anchor's own are. Open
+contexts are resolved by the operators, each by its own method. Documents are told apart by
+doc_id and a hash of their text (`tid`), and ordered by doc_id.
+
+What is sent on are rows (part, kind, records): all of a task's for one part in one row.
 """
 
 from __future__ import annotations
 
-import pickle
 from collections.abc import Callable, Iterator
 from typing import NamedTuple
 
@@ -27,13 +32,18 @@ from corefold.llm.common import give_back, slices, text_or_empty, written
 
 PACKED = "part int, kind int, blob binary"
 FOUND = "doc_id long, tid long, spans binary, open binary"
-#: Contexts of one anchor from which on they are dealt out by what lies around it.
-HOT = 2_000
-#: Anchors that a task gathers before it sends them on.
-FLUSH = 500_000
-
+#: Kinds of records.
+BY_ANCHOR, REPEATS, OPENED, BY_CONTEXT, COUNTS, PIECES = range(6)
+#: Bytes of text that are hashed at once.
+SLICE = 1 << 20
+#: Buckets of anchors that are counted.
+BUCKETS = 1 << 16
+
+ANCHOR = np.dtype([("h", "<u8"), ("ctx", "<u8"), ("alt", "<u8"), ("doc", "<i8"), ("tid", "<i8"), ("first", "<i4"), ("n", "<i2")])
 SPAN = np.dtype([("start", "<i4"), ("end", "<i4"), ("src_doc", "<i8"), ("src_tid", "<i8"), ("src_start", "<i4")])
 OPEN = np.dtype([("first", "<i4"), ("n", "<i4"), ("h", "<u8"), ("hot", "u1")])
+_OWNER = [("doc", "<i8"), ("tid", "<i8")]
+REPEAT, OPENING = np.dtype(_OWNER + SPAN.descr), np.dtype(_OWNER + OPEN.descr)
 
 
 class Spec(NamedTuple):
@@ -41,41 +51,37 @@ class Spec(NamedTuple):
     k: int  # symbols in an anchor
     words: bool  # symbols are words, else bytes
     by_doc: bool  # repeats within a document don't count
-
-
-def pack(*columns: np.ndarray) -> bytes:
-    import zstandard
-
-    return zstandard.ZstdCompressor(level=1).compress(pickle.dumps(columns, protocol=5))
-
-
-def unpack(blob: bytes) -> tuple[np.ndarray, ...]:
-    import zstandard
-
-    return pickle.loads(zstandard.ZstdDecompressor().decompress(blob))  # noqa: S301  only what pack() made
+    seed: int = 0  # which hashes
+    bits: int = 64  # of each hash; fewer only to see what happens when different texts meet
+    hot: int = 2_000  # contexts of one anchor from which on they are dealt out by what lies around it
+    heavy: int = 1_000_000  # records of a bucket beyond its share from which on it is dealt by context
+    flush: int = 300_000  # anchors that a task gathers before it sends them on
 
 
 _WHITE = np.zeros(256, dtype=bool)
 _WHITE[[9, 10, 11, 12, 13, 32]] = True
 
 
-def symbols(texts: list[bytes], words: bool) -> tuple[np.ndarray, np.ndarray]:
-    """A 64-bit code for each symbol of the texts laid end to end, and where each text begins."""
+def symbols(texts: list[bytes], words: bool, seed: int = 0) -> tuple[tuple[np.ndarray, np.ndarray], np.ndarray]:
+    """Two codes for each symbol of the texts laid end to end, and where each text begins."""
+    one, two = anchors.scheme(2 * seed), anchors.scheme(2 * seed + 1)
     if not words:
         sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
-        return anchors.BYTE_CODES[np.frombuffer(b"".join(texts), dtype=np.uint8)], np.concatenate([[0], np.cumsum(sizes)])
+        data = np.frombuffer(b"".join(texts), dtype=np.uint8)
+        return (one.bytes[data], two.bytes[data]), np.concatenate([[0], np.cumsum(sizes)])
     data = np.frombuffer(b" ".join([*texts, b""]), dtype=np.uint8)
     sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts)) + 1
     at = np.concatenate([[0], np.cumsum(sizes)])
     if not len(data):
-        return np.zeros(0, dtype=np.uint64), np.zeros(len(texts) + 1, dtype=np.int64)
+        none = np.zeros(0, dtype=np.uint64)
+        return (none, none), np.zeros(len(texts) + 1, dtype=np.int64)
     white = _WHITE[data]
     edge = np.flatnonzero(white[1:] != white[:-1]) + 1
     if not white[0]:
         edge = np.concatenate([[0], edge])
     start, end = edge[0::2], edge[1::2]  # the last byte is white
-    prefix = anchors.prefix_sums(anchors.BYTE_CODES[data])
-    codes = anchors.mix(anchors.span_hash(prefix, anchors.powers(anchors.BASE_INV, len(data) + 1), start, end) + (end - start).astype(np.uint64))
+    size = (end - start).astype(np.uint64)
+    codes = tuple(anchors.mix(s.spans(s.prefix(s.bytes[data]), start, end) + size) for s in (one, two))
     return codes, np.searchsorted(start, at)
 
 
@@ -88,43 +94,69 @@ def _bucket(doc_id: np.ndarray, parts: int) -> np.ndarray:
     return (anchors.mix(doc_id.astype(np.uint64)) >> np.uint64(8)) % np.uint64(parts)
 
 
-def by_part(part: np.ndarray, kind: int, *columns: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """Rows (part, kind, packed columns), in the order they stand."""
+def records(dtype: np.dtype, *columns: np.ndarray) -> np.ndarray:
+    out = np.empty(len(columns[0]), dtype=dtype)
+    for name, column in zip(dtype.names, columns, strict=True):
+        out[name] = column
+    return out
+
+
+def _rows(part: np.ndarray, kind: int, offsets: np.ndarray, data: bytes) -> pa.RecordBatch:
+    blobs = pa.Array.from_buffers(pa.binary(), len(part), [None, pa.py_buffer(offsets.astype(np.int32)), pa.py_buffer(data)])
+    return pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(np.full(len(part), kind, dtype=np.int32)), blobs], names=["part", "kind", "blob"])
+
+
+def by_part(part: np.ndarray, kind: int, found: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Rows (part, kind, records), in the order they stand."""
     if not len(part):
         return
     order = np.argsort(part, kind="stable")
     part = part[order]
     cut = np.concatenate([[0], np.flatnonzero(part[1:] != part[:-1]) + 1, [len(part)]])
-    columns = tuple(c[order] for c in columns)
-    for a, b in zip(cut[:-1], cut[1:], strict=True):
-        yield pa.RecordBatch.from_arrays([pa.array([int(part[a])], pa.int32()), pa.array([kind], pa.int32()), pa.array([pack(*(c[a:b] for c in columns))], pa.binary())], names=["part", "kind", "blob"])
+    yield _rows(part[cut[:-1]], kind, cut * found.dtype.itemsize, found[order].tobytes())
+
+
+def gather(table: pa.Table, kind: int, dtype: np.dtype) -> np.ndarray:
+    """All records of one kind."""
+    return np.frombuffer(b"".join(b.as_py() for k, b in zip(table.column("kind"), table.column("blob"), strict=True) if k.as_py() == kind), dtype=dtype)
+
+
+def passed_on(table: pa.Table, kind: int) -> list[pa.RecordBatch]:
+    import pyarrow.compute as pc
+
+    return table.select(["part", "kind", "blob"]).filter(pc.equal(table.column("kind"), kind)).to_batches()
+
+
+def sent(batches: list[pa.RecordBatch]) -> pa.Table:
+    return pa.Table.from_batches(batches, schema=pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
 
 
 class Classes(NamedTuple):
-    """Of records with equal h and ctx: order sorts by class and place; lead is each sorted record's class leader."""
+    """Of records that are equal: order sorts by class and place; lead is each sorted record's class leader."""
 
     order: np.ndarray
     lead: np.ndarray
     repeat: np.ndarray
 
 
-def classes(key: np.ndarray, doc: np.ndarray, first: np.ndarray, by_doc: bool) -> Classes:
-    order = np.lexsort((first, doc, key))
-    k = key[order]
-    new = np.concatenate([[True], k[1:] != k[:-1]]) if len(k) else np.zeros(0, dtype=bool)
-    at = np.maximum.accumulate(np.where(new, np.arange(len(k)), 0))
+def classes(keys: tuple[np.ndarray, ...], doc: np.ndarray, first: np.ndarray, by_doc: bool) -> Classes:
+    """Records are equal if all their keys are."""
+    order = np.lexsort((first, doc, keys[0]))
+    one = keys[0][order]
+    new = np.ones(len(one), dtype=bool)
+    np.not_equal(one[1:], one[:-1], out=new[1:])
+    if any(((k[order][1:] != k[order][:-1]) & ~new[1:]).any() for k in keys[1:]):  # the first key is not enough
+        order = np.lexsort((first, doc, *keys[::-1]))
+        new[1:] = np.any([k[order][1:] != k[order][:-1] for k in keys], axis=0)
+    at = np.maximum.accumulate(np.where(new, np.arange(len(new)), 0))
     lead = order[at]
     later = doc[order] > doc[lead]
     repeat = later if by_doc else later | (first[order] > first[lead])
     return Classes(order, lead, repeat)
 
 
-def _class_key(h: np.ndarray, ctx: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        return anchors.mix(h + anchors.mix(ctx))
-
-
-def _send_repeats(kind: int, parts: int, c: Classes, doc: np.ndarray, tid: np.ndarray, first: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
+def send_repeats(parts: int, c: Classes, doc: np.ndarray, tid: np.ndarray, first: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """REPEATS of each record that repeats its leader, by document."""
     rows, lead = c.order[c.repeat], c.lead[c.repeat]
     again = np.lexsort((first[rows], tid[rows], doc[rows]))
     rows, lead = rows[again], lead[again]
@@ -136,90 +168,144 @@ def _send_repeats(kind: int, parts: int, c: Classes, doc: np.ndarray, tid: np.nd
         at = np.flatnonzero(new)
         end = end[np.concatenate([at[1:], [len(rows)]]) - 1]
         d, t, start, sd, st, ss = (x[at] for x in (d, t, start, sd, st, ss))
-    yield from by_part(_bucket(d, parts), kind, d, t, start, end, sd, st, ss)
+    yield from by_part(_bucket(d, parts), REPEATS, records(REPEAT, d, t, start, end, sd, st, ss))
+
+
+def _classes(x: np.ndarray, spec: Spec) -> Classes:
+    return classes((np.ascontiguousarray(x["ctx"]), x["alt"], x["h"]), x["doc"], x["first"], spec.by_doc)
+
 
+def _bucket_of(h: np.ndarray) -> np.ndarray:
+    return (h >> np.uint64(48)).astype(np.int64)  # BUCKETS = 1 << 16
 
-def anchor_parts(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
-    """Stage 1. kind 0: anchors, by their hash; kind 1: repeats, by document."""
+
+def anchor_rows(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
+    """Stage 1. REPEATS by document; anchors (BY_ANCHOR) and their COUNTS, not yet dealt to a part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
+        held: list[np.ndarray] = []
+        counts = np.zeros(BUCKETS, dtype=np.int64)
+        mask = np.uint64((1 << spec.bits) - 1)
 
         def flush() -> Iterator[pa.RecordBatch]:
+            nonlocal counts
             if not held:
                 return
-            h, ctx, doc, tid, first, n = (np.concatenate(c) for c in zip(*held, strict=True))
+            x = np.concatenate(held)
             held.clear()
-            c = classes(_class_key(h, ctx), doc, first, spec.by_doc)
-            yield from _send_repeats(1, parts, c, doc, tid, first, n)
-            stay = np.sort(c.order[~c.repeat])
-            yield from by_part((h[stay] >> np.uint64(20)) % np.uint64(parts), 0, h[stay], ctx[stay], doc[stay], tid[stay], first[stay], n[stay].astype(np.int16))
+            c = _classes(x, spec)
+            yield from send_repeats(parts, c, x["doc"], x["tid"], x["first"], x["n"].astype(np.int32))
+            x = x[np.sort(c.order[~c.repeat])]
+            counts += np.bincount(_bucket_of(x["h"]), minlength=BUCKETS)
+            for at in range(0, len(x), 50_000):
+                y = x[at : at + 50_000]
+                yield _rows(np.array([-1]), BY_ANCHOR, np.array([0, y.nbytes]), y.tobytes())
 
         for whole in batches:
-            for batch in slices(whole, "text", 2 << 20):
+            for batch in slices(whole, "text", SLICE):
                 texts = [t.encode() for t in batch.column(2).to_pylist()]
-                codes, begin = symbols(texts, spec.words)
-                found = anchors.Anchors(codes, begin, spec.w, spec.k)
-                if len(found.first):
-                    doc, tid = batch.column(0).to_numpy()[found.doc], batch.column(1).to_numpy()[found.doc]
-                    held.append((found.h, found.ctx, doc, tid, (found.first - begin[found.doc]).astype(np.int32), (found.last - found.first).astype(np.int32)))
-                if sum(len(x[0]) for x in held) >= FLUSH:
+                codes, begin = symbols(texts, spec.words, spec.seed)
+                f = anchors.Anchors(codes, begin, spec.w, spec.k, spec.seed)
+                if len(f.first):
+                    doc, tid = batch.column(0).to_numpy()[f.doc], batch.column(1).to_numpy()[f.doc]
+                    held.append(records(ANCHOR, f.h, f.ctx & mask, f.alt & mask, doc, tid, f.first - begin[f.doc], f.last - f.first))
+                del codes, f
+                if sum(map(len, held)) >= spec.flush:
                     yield from flush()
         yield from flush()
+        if counts.any():
+            yield _rows(np.array([-1]), COUNTS, np.array([0, counts.nbytes]), counts.tobytes())
         give_back()
 
     return docs.mapInArrow(run, PACKED)
 
 
-def _gather(table: pa.Table, kind: int) -> list[np.ndarray] | None:
-    blobs = [unpack(b.as_py()) for k, b in zip(table.column("kind"), table.column("blob"), strict=True) if k.as_py() == kind]
-    return [np.concatenate(c) for c in zip(*blobs, strict=True)] if blobs else None
+def heavy_buckets(rows: DataFrame, spec: Spec) -> np.ndarray:
+    """Which buckets of anchors hold far more than their share. At most 64 arrays of fixed size reach the driver."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(BUCKETS, dtype=np.int64)
+        for batch in batches:
+            for blob in batch.column(0):
+                total += np.frombuffer(blob.as_buffer(), dtype=np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["blob"])
+
+    sums = rows.filter(F.col("kind") == COUNTS).select("blob").coalesce(64).mapInArrow(add, "blob binary").collect()
+    total = sum((np.frombuffer(r.blob, dtype=np.int64) for r in sums), np.zeros(BUCKETS, dtype=np.int64))
+    return total > 1.5 * total.mean() + spec.heavy
+
+
+def dealt(rows: DataFrame, heavy: np.ndarray, parts: int) -> DataFrame:
+    """Stage 2. Anchors by their hash, or by context (BY_CONTEXT) where their bucket is heavy; the rest as it is."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held: list[bytes] = []
+            for kind, blob in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
+                if kind == BY_ANCHOR:
+                    held.append(blob.as_buffer().to_pybytes())
+                if held and sum(map(len, held)) > 12 << 20:
+                    yield from _deal(held, heavy, parts)
+                    held.clear()
+            if held:
+                yield from _deal(held, heavy, parts)
+        give_back()
+
+    by_anchor = rows.filter(F.col("kind") == BY_ANCHOR).mapInArrow(run, PACKED)
+    return by_anchor.unionByName(rows.filter(F.col("kind") == REPEATS))
+
+
+def _deal(held: list[bytes], heavy: np.ndarray, parts: int) -> Iterator[pa.RecordBatch]:
+    x = np.frombuffer(b"".join(held), dtype=ANCHOR)
+    crowded = heavy[_bucket_of(x["h"])]
+    for kind, key, chosen in ((BY_ANCHOR, "h", ~crowded), (BY_CONTEXT, "ctx", crowded)):
+        y = x[chosen] if crowded.any() else x if kind == BY_ANCHOR else x[:0]
+        yield from by_part(anchors.mix(y[key]) % np.uint64(parts), kind, y)
 
 
 def resolve_parts(packed: DataFrame, spec: Spec, parts: int) -> DataFrame:
-    """Stage 2. kind 1: repeats; kind 2: open contexts; both by document."""
+    """Stage 3. REPEATS and OPENED, both by document."""
 
     def run(table: pa.Table) -> pa.Table:
-        out = [b for b in table.select(["part", "kind", "blob"]).filter(pa.compute.equal(table.column("kind"), 1)).to_batches()]
-        if found := _gather(table, 0):
-            h, ctx, doc, tid, first, n = found
-            n = n.astype(np.int32)
-            c = classes(_class_key(h, ctx), doc, first, spec.by_doc)
-            out += _send_repeats(1, parts, c, doc, tid, first, n)
-            leads = np.unique(c.lead)
-            by_h = leads[np.argsort(h[leads], kind="stable")]
-            hs = h[by_h]
-            new = np.concatenate([[True], hs[1:] != hs[:-1]])
-            size = np.diff(np.concatenate([np.flatnonzero(new), [len(hs)]]))
-            several = dict(zip(hs[new][size > 1].tolist(), size[size > 1].tolist(), strict=True))
+        out = passed_on(table, REPEATS)
+        for kind in (BY_ANCHOR, BY_CONTEXT):
+            x = gather(table, kind, ANCHOR)
+            if not len(x):
+                continue
+            c = _classes(x, spec)
+            out += send_repeats(parts, c, x["doc"], x["tid"], x["first"], x["n"].astype(np.int32))
             stay = np.sort(c.order[~c.repeat])
-            stay = stay[np.isin(h[stay], hs[new][size > 1])]
-            hot = np.array([several[x] > HOT for x in h[stay].tolist()], dtype=np.uint8)
-            out += by_part(_bucket(doc[stay], parts), 2, doc[stay], tid[stay], first[stay], n[stay], h[stay], hot)
-        return pa.Table.from_batches(out, schema=pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
-
-    import pyarrow.compute  # noqa: F401
+            if kind == BY_ANCHOR:
+                hs, size = np.unique(x["h"][np.unique(c.lead)], return_counts=True)
+                several, size = hs[size > 1], size[size > 1]
+                at = np.searchsorted(several, x["h"][stay])
+                known = at < len(several)
+                known[known] = several[at[known]] == x["h"][stay[known]]
+                stay, hot = stay[known], size[at[known]] > spec.hot
+            else:
+                hot = np.ones(len(stay), dtype=bool)
+            y = x[stay]
+            out += by_part(_bucket(y["doc"], parts), OPENED, records(OPENING, y["doc"], y["tid"], y["first"], y["n"], y["h"], hot))
+        return sent(out)
 
     return packed.groupBy("part").applyInArrow(run, PACKED)
 
 
 def by_document(packed: DataFrame) -> DataFrame:
-    """Stage 3. doc_id, tid, spans (SPAN records) and open (OPEN records), of the documents that have any."""
+    """Stage 4. doc_id, tid, spans (SPAN records) and open (OPEN records), of the documents that have any."""
 
     def run(table: pa.Table) -> pa.Table:
         rows: dict[tuple[int, int], list[bytes]] = {}
-        for kind, dtype, at in ((1, SPAN, 0), (2, OPEN, 1)):
-            if not (found := _gather(table, kind)):
+        for kind, dtype, own, at in ((REPEATS, REPEAT, SPAN, 0), (OPENED, OPENING, OPEN, 1)):
+            x = gather(table, kind, dtype)
+            if not len(x):
                 continue
-            doc, tid, *rest = found
-            order = np.lexsort((rest[0], tid, doc))
-            doc, tid = doc[order], tid[order]
-            records = np.empty(len(doc), dtype=dtype)
-            for name, column in zip(dtype.names, rest, strict=True):
-                records[name] = column[order]
+            x = x[np.lexsort((x[own.names[0]], x["tid"], x["doc"]))]
+            doc, tid = x["doc"], x["tid"]
             cut = np.concatenate([[0], np.flatnonzero((doc[1:] != doc[:-1]) | (tid[1:] != tid[:-1])) + 1, [len(doc)]])
+            found = records(own, *(x[name] for name in own.names))
             for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
-                rows.setdefault((int(doc[a]), int(tid[a])), [b"", b""])[at] = records[a:b].tobytes()
+                rows.setdefault((int(doc[a]), int(tid[a])), [b"", b""])[at] = found[a:b].tobytes()
         columns = [[k[0] for k in rows], [k[1] for k in rows], [v[0] for v in rows.values()], [v[1] for v in rows.values()]]
         schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("spans", pa.binary()), ("open", pa.binary())])
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
@@ -228,8 +314,9 @@ def by_document(packed: DataFrame) -> DataFrame:
 
 
 def repeated(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
-    """Stages 1 to 3 over identified documents, written down."""
-    return written(by_document(resolve_parts(anchor_parts(docs, spec, parts), spec, parts)))
+    """Stages 1 to 4 over identified documents, written down."""
+    rows = written(anchor_rows(docs, spec, parts))
+    return written(by_document(resolve_parts(dealt(rows, heavy_buckets(rows, spec), parts), spec, parts)))
 
 
 def map_joined(docs: DataFrame, found: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str, how: str) -> DataFrame:
