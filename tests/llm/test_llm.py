@@ -95,11 +95,10 @@ def brute_bytes(rows, w=100):
     return out
 
 
-@pytest.mark.parametrize("hot", [2000, 1])
-def test_suffix_dedup(spark, docs, rows, hot, monkeypatch):
-    monkeypatch.setattr(windows, "HOT", hot)
+@pytest.mark.parametrize("limits", [{}, {"hot": 1, "flush": 2000}, {"heavy": -10}])
+def test_suffix_dedup(spark, docs, rows, limits):
     more = table(spark, [(None, "word " * 50)])
-    got = suffix_dedup.remove_repeats(docs.unionByName(more)).collect()
+    got = suffix_dedup.remove_repeats(docs.unionByName(more), **limits).collect()
     want = brute_bytes(rows)
     assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got if r.doc_id is not None} == want
     assert [r.n_removed for r in got if r.doc_id is None] == [0]
@@ -536,13 +535,39 @@ def brute_words(rows, w=50):
     return out
 
 
-def test_debruijn(spark, docs, rows):
+@pytest.mark.parametrize("limits", [{}, {"heavy": -10, "flush": 2000}, {"bits": 8}])
+def test_debruijn(spark, docs, rows, limits):
+    """With 8 bits of each hash different words meet, which their sources' words show."""
     more = table(spark, [(None, "word " * 60)])
-    got = debruijn.verified(debruijn.remove_repeats(docs.unionByName(more))).collect()
+    got = debruijn.remove_repeats(docs.unionByName(more), **limits).collect()
     assert {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in got if r.doc_id is not None} == brute_words(rows)
     assert [r.n_removed for r in got if r.doc_id is None] == [0]
     assert all((r.n_paths > 0) == (r.n_removed > 0) for r in got)
-    assert debruijn.verified(debruijn.remove_repeats(docs.limit(0))).count() == 0
+    assert debruijn.remove_repeats(docs.limit(0)).count() == 0
+
+
+def test_equal_first_hashes_alone_make_no_class():
+    key = np.array([5, 5, 5, 7], dtype=np.uint64)
+    other = np.array([1, 2, 1, 1], dtype=np.uint64)
+    c = windows.classes((key, other), np.array([3, 1, 2, 0]), np.zeros(4, dtype=np.int64), False)
+    assert {(int(r), int(lead)) for r, lead, again in zip(c.order, c.lead, c.repeat, strict=True) if again} == {(0, 2)}
+
+
+def test_long_texts(spark):
+    """Megabytes in one text, with and without white space, that repeat themselves."""
+    rnd = random.Random(3)
+    block = "".join(rnd.choice("abcdef") for _ in range(40_000))
+    words = " ".join(rnd.choice(["ab", "cd", "ef", "gh"]) + str(rnd.randrange(1000)) for _ in range(20_000))
+    rows = [(1, block * 30), (2, words * 8), (3, words), (4, block)]
+    docs = table(spark, rows)
+    got = {r.doc_id: r for r in suffix_dedup.remove_repeats(docs).collect()}
+    assert [got[i].n_bytes - got[i].n_removed for i in (1, 2, 3, 4)] == [len(block), len(words), 0, 0]
+    assert got[1].kept_sha256 == hashlib.sha256(block.encode()).hexdigest() and got[2].kept_sha256 == hashlib.sha256(words.encode()).hexdigest()
+    by_words = {r.doc_id: (r.n_words, r.n_removed) for r in debruijn.remove_repeats(docs).collect()}
+    assert by_words[3] == (20_000, 20_000) and by_words[1] == (1, 0) and by_words[2][1] == 0
+    library = bpe.Encoder(PATH)
+    counted = {r.doc_id: r.n_tokens for r in packing.token_lengths(docs, PATH).collect()}
+    assert counted == {i: len(library.slow(t)) // 4 for i, t in rows}
 
 
 @pytest.mark.parametrize("seed", [1, 2])
