@@ -12,9 +12,12 @@ from __future__ import annotations
 
 import numpy as np
 
+from corefold.llm.common import REMEMBERED
+
 _U = np.uint64
 _REMEMBERED = 1 << 20
 _POWERS: dict[int, np.ndarray] = {}
+REMEMBERED.append(_POWERS)
 
 
 def powers(base: np.uint64, n: int) -> np.ndarray:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -30,12 +30,20 @@ def materialize(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def written(df: DataFrame) -> DataFrame:
-    """Like materialize, but as compressed Parquet below the shared checkpoint folder: columnar and prunable."""
+def written(df: DataFrame, instead_of: Iterable[DataFrame] = ()) -> DataFrame:
+    """Like materialize, but as compressed Parquet below the shared checkpoint folder: columnar and prunable.
+
+    `instead_of`: written tables that only df was made from; they are removed once df stands.
+    """
     spark = df.sparkSession
     path = f"{checkpoint_dir(spark)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    for old in instead_of:
+        place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(old._written_at)
+        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_at = path
+    return out
 
 
 def partitions_for(df: DataFrame, bytes_each: int = 16 << 20) -> int:
@@ -62,8 +70,19 @@ def map_columns(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | N
     return df.mapInArrow(run, schema)
 
 
+#: What this worker process remembers between tasks (see make_room).
+REMEMBERED: list[dict] = []
+
+
+def make_room() -> None:
+    """Forget what tasks of other operators have left in this worker: workers are reused, and their executor's memory is shared."""
+    for memory in REMEMBERED:
+        memory.clear()
+    give_back()
+
+
 def give_back() -> None:
-    """Hand freed memory of this worker back: workers are reused, and their executor's memory is shared."""
+    """Hand freed memory of this worker back."""
     import ctypes
     import gc
 

@@ -145,7 +145,7 @@ def _removed(docs: DataFrame, spec: windows.Spec) -> DataFrame:
     known = windows.identified(docs)
     found = windows.repeated(known, spec, parts)
     edges = written(windows.by_document(match_edges(edge_parts(known, found, spec, parts), spec, parts)))
-    compacted = written(compact(pieces(found).unionByName(pieces(edges))))
+    compacted = written(compact(pieces(found).unionByName(pieces(edges))), instead_of=[found, edges])
     spans = walks(compacted).groupBy("doc_id", "tid").agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("spans"), F.count_distinct("path").alias("n_paths"))
     own = compacted.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("start", "end", "node")).alias("own"))
     # one request for each different span of a source, however many documents repeat it

@@ -158,6 +158,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     A star's rows are counted by edges, so a hot node's are merged before the shuffle.
     """
     edges = written(edges.select(F.least(a, b).alias("u"), F.greatest(a, b).alias("v")).filter("u < v").distinct())
+    # each round is written instead of the last
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
@@ -165,7 +166,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         # small star: every node and its smaller neighbours go under the least of these
         low = large.groupBy("v").agg(F.min("u").alias("m"))
         small = large.join(low, "v")
-        new = written(small.select(F.col("m").alias("u"), "v").unionByName(small.filter("u > m").select(F.col("m").alias("u"), F.col("u").alias("v"))).distinct())
+        new = written(small.select(F.col("m").alias("u"), "v").unionByName(small.filter("u > m").select(F.col("m").alias("u"), F.col("u").alias("v"))).distinct(), instead_of=[edges])
         # done when every node has one parent, which is no one's child
         again = new.groupBy("v").count().filter("count > 1").select("v").unionByName(new.select(F.col("u").alias("v")).join(new.select("v"), "v", "left_semi"))
         if again.isEmpty():

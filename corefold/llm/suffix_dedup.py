@@ -201,4 +201,4 @@ def repeats(docs: DataFrame, w: int = 100, k: int = 32, **limits: int) -> DataFr
     found = windows.repeated(known, spec, parts)
     sorted_ = windows.by_document(sort_shards(cut_out(known, found, spec, parts), spec, parts))
     both = found.select("doc_id", "tid", "spans").unionByName(sorted_.select("doc_id", "tid", "spans")).filter(F.length("spans") > 0)
-    return written(both.groupBy("doc_id", "tid").agg(F.collect_list("spans").alias("spans")))  # two at most
+    return written(both.groupBy("doc_id", "tid").agg(F.collect_list("spans").alias("spans")), instead_of=[found])  # two at most

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corefold.llm import anchors
-from corefold.llm.common import give_back, slices, text_or_empty, written
+from corefold.llm.common import give_back, make_room, slices, text_or_empty, written
 
 PACKED = "part int, kind int, blob binary"
 FOUND = "doc_id long, tid long, spans binary, open binary"
@@ -186,6 +186,7 @@ def anchor_rows(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
         held: list[np.ndarray] = []
         counts = np.zeros(BUCKETS, dtype=np.int64)
         mask = np.uint64((1 << spec.bits) - 1)
+        make_room()
 
         def flush() -> Iterator[pa.RecordBatch]:
             nonlocal counts
@@ -316,7 +317,7 @@ def by_document(packed: DataFrame) -> DataFrame:
 def repeated(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
     """Stages 1 to 4 over identified documents, written down."""
     rows = written(anchor_rows(docs, spec, parts))
-    return written(by_document(resolve_parts(dealt(rows, heavy_buckets(rows, spec), parts), spec, parts)))
+    return written(by_document(resolve_parts(dealt(rows, heavy_buckets(rows, spec), parts), spec, parts)), instead_of=[rows])
 
 
 def map_joined(docs: DataFrame, found: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str, how: str) -> DataFrame:
