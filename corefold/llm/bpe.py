@@ -3,8 +3,8 @@
 The lexicon is a minimal acyclic automaton over the UTF-8 bytes of frequent
 pretokens: equal suffixes share states. Each state knows how many words end at or
 below it, so that a walk also yields the word's number, and a table by number
-holds the token ids: together a transducer from words to ids. It is one file,
-memory-mapped by the workers. Words that it lacks are merged exactly.
+holds the token ids: together a transducer from words to ids. It is one file, that
+each executor has once and all its workers map. Words that it lacks are merged exactly.
 
 Nulls are empty texts. Texts are taken whole, whatever their length.
 """
@@ -14,23 +14,22 @@ from __future__ import annotations
 import base64
 import hashlib
 import mmap
-import os
-import tempfile
 from array import array
 from collections import Counter
 from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import SparkFiles
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corefold.llm.common import text_or_empty, written
+from corefold.llm.common import REMEMBERED, checkpoint_dir, give_back, slices, text_or_empty, written
 
 #: Words kept in the lexicon, by default.
 LEXICON_WORDS = 65_536
-#: Remembered words of one worker; the memory is emptied when it is full.
-CACHE_WORDS = 400_000
+#: Remembered words of one worker, in each of two generations, and words that a task counts before it sends them on.
+CACHE_WORDS = 150_000
 #: Words that occur less often are not worth a place in a lexicon.
 LEAST_COUNT = 4
 
@@ -103,15 +102,11 @@ def compile_lexicon(words: dict[bytes, list[int]]) -> bytes:
 
 
 class Lexicon:
-    """A compiled lexicon, mapped into memory from a file that only this process uses."""
+    """A compiled lexicon, mapped into memory; all processes that map one file share its pages."""
 
-    def __init__(self, blob: bytes):
-        handle, path = tempfile.mkstemp(prefix="lexicon-")
-        with os.fdopen(handle, "w+b") as f:
-            f.write(blob)
-            f.flush()
+    def __init__(self, path: str):
+        with open(path, "rb") as f:
             self._map = mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ)
-        os.unlink(path)  # the mapping keeps the pages; nothing is left behind
         states, edges, words, ids = np.frombuffer(self._map, "<i8", 4)
         at = 32
         views = []
@@ -192,11 +187,13 @@ class _Clashing(Exception):
 
 
 class Encoder(dict):
-    """Whole texts to ids. Maps a chunk between spaces to the packed ids of it and the space before it.
+    """Whole texts to ids. Maps a chunk to the packed ids of it and the space before it.
 
-    A space between non-spaces always begins a pretoken, so chunks that neither begin
-    nor end with white space can be encoded apart and remembered; `first` remembers
-    those without a space before. Texts with other chunks take the pattern itself.
+    Chunks stand between spaces; a line break counts as a space before it, so "\\nword" is
+    a chunk too. A space between non-spaces always begins a pretoken, and so does a line
+    break, so chunks with no other white space at their ends can be encoded apart and
+    remembered (two generations of CACHE_WORDS); `first` remembers those without a space
+    before. Texts with other chunks take the pattern itself.
     """
 
     def __init__(self, path: str, lexicon: Lexicon | None = None):
@@ -214,81 +211,133 @@ class Encoder(dict):
         self._newline = self.slow("\n")
         special = self.vocabulary.special
         self._special = regex.compile("(" + "|".join(map(regex.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
+        most = max(self.vocabulary.bytes_of) + 1
+        self._bytes = [self.vocabulary.bytes_of.get(i) for i in range(most)]
+        self._names = [str(i) for i in range(most)]
 
     def slow(self, text: str) -> bytes:
         """Packed ids by the pattern, without remembering anything."""
         return b"".join([array("I", self._merge(p.encode())).tobytes() for p in self.pretokens(text)])
 
-    def _room(self) -> None:
-        if len(self) > CACHE_WORDS // 2:  # keep one older generation
-            self._old = dict(self)
-            self.clear()
-        if len(self.first) > CACHE_WORDS // 4:
-            self.first.clear()
-
     def _begin(self, chunk: str) -> bytes:
         if (ids := self.first.get(chunk)) is None:
+            if len(self.first) > CACHE_WORDS // 4:
+                self.first.clear()
             ids = self.first[chunk] = self.slow(chunk)
         return ids
 
+    def _cut(self, chunk: str) -> list[str]:
+        """The pretokens of a chunk without white space at its ends, after a space or a line break."""
+        if chunk[0] == "\n":
+            return ["\n", *self.pretokens(chunk[1:])]
+        if chunk.isascii():  # a word, or a word and a mark
+            if chunk.isalpha():
+                return [" " + chunk]
+            if chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
+                return [" " + chunk[:-1], chunk[-1]]
+        return self.pretokens(" " + chunk)
+
     def __missing__(self, chunk: str) -> bytes:
         if (ids := self._old.get(chunk)) is None:
-            if not chunk or chunk[0].isspace() or chunk[-1].isspace():
+            if _clashes(chunk):
                 raise _Clashing
-            if "\n" in chunk:
-                head, *rest = chunk.split("\n")
-                if any(not x or x[0].isspace() or x[-1].isspace() for x in (head, *rest)):
-                    return self.slow(" " + chunk)
-                return self[head] + b"".join([self._newline + self._begin(x) for x in rest])
-            ids = self.slow(" " + chunk)
+            ids = b"".join([array("I", self._merge(p.encode())).tobytes() for p in self._cut(chunk)])
         self[chunk] = ids
         return ids
 
-    def learn(self, texts: Iterable[str]) -> None:
-        """Look up the texts' new chunks in the lexicon, all at once; what it lacks is merged."""
+    def learn(self, chunks: list[list[str]]) -> None:
+        """Look up new chunks in the lexicon, all at once; what it lacks is merged."""
+        if len(self) > CACHE_WORDS:  # keep one older generation
+            self._old = dict(self)
+            self.clear()
+        if self.lexicon is None:
+            return
         seen: set[str] = set()
-        seen.update(*(t.split(" ") for t in texts))
-        new = [c for c in seen if c not in self and c not in self._old and c and "\n" not in c and not c[0].isspace() and not c[-1].isspace()]
-        self._room()
-        parts = [self.pretokens(" " + c) for c in new]
+        seen.update(*chunks)
+        new = [c for c in seen.difference(self) if c not in self._old and not _clashes(c)]
+        parts = [self._cut(c) for c in new]
         flat = [p.encode() for ps in parts for p in ps]
-        ids = [array("I", self._merge(p)).tobytes() if g is None else g for g, p in zip(self.lexicon.lookup(flat), flat, strict=True)]
+        merge = self._merge
+        ids = [array("I", merge(p)).tobytes() if g is None else g for g, p in zip(self.lexicon.lookup(flat), flat, strict=True)]
         at = 0
         for chunk, ps in zip(new, parts, strict=True):
             self[chunk] = ids[at] if len(ps) == 1 else b"".join(ids[at : at + len(ps)])
             at += len(ps)
 
-    def plain(self, text: str) -> bytes:
-        """Packed ids of a text without special tokens."""
-        head, *rest = text.split(" ")
+    def _plain(self, text: str, chunks: list[str] | None) -> bytes:
+        """Packed ids of a text without special tokens, from its chunks if it has them."""
+        if chunks is None:
+            return self.slow(text)
         try:
-            if head and (head[0].isspace() or head[-1].isspace() or "\n" in head) or not head and text:
+            head = chunks[0]
+            if not head and len(text) or head and (head[0].isspace() or head[-1].isspace()):
                 raise _Clashing
-            self._room()
-            return (self._begin(head) if head else b"") + b"".join(map(self.__getitem__, rest))
+            body = b"".join(map(self.__getitem__, chunks[1:]))
+            return self._begin(head) + body if head else body
         except _Clashing:
             return self.slow(text)
 
-    def encode(self, text: str) -> bytes:
-        """Packed ids of any text, as little-endian uint32."""
+    def encode_all(self, texts: list[str]) -> Iterator[bytes]:
+        """Packed ids of each text, as little-endian uint32; each text is cut once."""
+        cut = [_chunks(t) for t in texts]
+        self.learn([c for c in cut if c is not None])
         special = self.vocabulary.special
-        if self._special is None or not any(s in text for s in special):
-            return self.plain(text)
-        return b"".join(array("I", [special[x]]).tobytes() if x in special else self.plain(x) for x in self._special.split(text) if x)
+        for text, chunks in zip(texts, cut, strict=True):
+            if self._special is not None and any(s in text for s in special):
+                yield b"".join(array("I", [special[x]]).tobytes() if x in special else self._plain(x, _chunks(x)) for x in self._special.split(text) if x)
+            else:
+                yield self._plain(text, chunks)
+
+    def encode(self, text: str) -> bytes:
+        return next(self.encode_all([text]))
 
     def decode(self, ids: Iterable[int]) -> str:
-        return b"".join(map(self.vocabulary.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
+        return b"".join(map(self._bytes.__getitem__, ids)).decode("utf-8", "replace")
+
+    def listed(self, ids: Iterable[int]) -> str:
+        """Decimal ids joined by commas."""
+        return ",".join(map(self._names.__getitem__, ids))
+
+
+def _chunks(text: str) -> list[str] | None:
+    """What stands between spaces; a line break begins a chunk. None if that is not told apart from a space before it."""
+    if "\n" in text:
+        if " \n" in text:
+            return None
+        text = text.replace("\n", " \n")
+    return text.split(" ")
+
+
+def _clashes(chunk: str) -> bool:
+    if chunk[:1] == "\n":
+        chunk = chunk[1:]
+    return not chunk or chunk[0].isspace() or chunk[-1].isspace()
 
 
 _ENCODERS: dict = {}
+REMEMBERED.append(_ENCODERS)
 
 
-def encoder(path: str, key: str = "", blob: bytes | None = None) -> Encoder:
-    """One encoder for each worker process; its memory of words serves all its tasks."""
-    if (path, key) not in _ENCODERS:
+def encoder(path: str, lexicon: str | None = None) -> Encoder:
+    """One encoder for each worker process; its memory of words serves all its tasks. lexicon: the name of a file that `share` made."""
+    if (path, lexicon) not in _ENCODERS:
         _ENCODERS.clear()
-        _ENCODERS[path, key] = Encoder(path, Lexicon(blob) if blob else None)
-    return _ENCODERS[path, key]
+        _ENCODERS[path, lexicon] = Encoder(path, Lexicon(SparkFiles.get(lexicon)) if lexicon else None)
+    return _ENCODERS[path, lexicon]
+
+
+def share(spark: SparkSession, blob: bytes) -> str:
+    """Put a lexicon into the shared checkpoint folder and have each executor fetch it once; returns its file's name."""
+    name = f"lexicon-{hashlib.sha256(blob).hexdigest()}"
+    jvm = spark.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(f"{checkpoint_dir(spark)}/{name}")
+    fs = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not fs.exists(path):
+        out = fs.create(path, True)
+        out.write(blob)
+        out.close()
+    spark.sparkContext.addFile(str(path.toString()))
+    return name
 
 
 def frequent_words(texts: DataFrame, column: str, words: int) -> list[str]:
@@ -305,7 +354,7 @@ def frequent_words(texts: DataFrame, column: str, words: int) -> list[str]:
         for batch in batches:
             for text in batch.column(0).to_pylist():
                 counts.update(text.split())
-                if len(counts) > CACHE_WORDS:
+                if len(counts) > 2 * CACHE_WORDS:
                     yield flush()
         if counts:
             yield flush()
@@ -338,23 +387,18 @@ def encode_decode(docs: DataFrame, path: str, words: int = LEXICON_WORDS, keep_i
     Returns doc_id, n_tokens, ids_sha256, decoded_sha256; with `keep_ids` also ids
     (array of ints) and decoded (string). A null text is empty; a null doc_id stays null.
     """
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(build_lexicon(docs, "text", path, words))  # bounded by `words`
-    key = hashlib.sha256(shared.value).hexdigest()
+    name = share(docs.sparkSession, build_lexicon(docs, "text", path, words))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(path, key, shared.value)
+        enc = encoder(path, name)
         for whole in batches:
-            for at in range(0, whole.num_rows, 500):
-                batch = whole.slice(at, 500)
-                texts = batch.column(1).to_pylist()
-                enc.learn(texts)
+            for batch in slices(whole, "text", 4 << 20):
                 out: list[list] = [[], [], [], [], []]
-                for text in texts:
-                    ids = np.frombuffer(enc.encode(text), dtype="<u4").tolist()
+                for packed in enc.encode_all(batch.column(1).to_pylist()):
+                    ids = array("I", packed).tolist()
                     decoded = enc.decode(ids)
                     out[0].append(len(ids))
-                    out[1].append(hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest())
+                    out[1].append(hashlib.sha256(enc.listed(ids).encode()).hexdigest())
                     out[2].append(hashlib.sha256(decoded.encode()).hexdigest())
                     if keep_ids:
                         out[3].append(ids)
@@ -364,6 +408,7 @@ def encode_decode(docs: DataFrame, path: str, words: int = LEXICON_WORDS, keep_i
                     columns += [pa.array(out[3], pa.list_(pa.int32())), pa.array(out[4], pa.string())]
                 names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"]
                 yield pa.RecordBatch.from_arrays(columns, names=names[: len(columns)])
+        give_back()
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * keep_ids
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, schema)

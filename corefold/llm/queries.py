@@ -75,7 +75,7 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corefold.llm import debruijn
 
-    cleaned = debruijn.verified(debruijn.remove_repeats(table(spark, sf_dir, "documents"), w=50).drop("text"))
+    cleaned = debruijn.remove_repeats(table(spark, sf_dir, "documents"), w=50)
     return cleaned.select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
