@@ -1,11 +1,10 @@
 """License scans by ordered signature rules (operator 5). DataFrame functions only.
 
 Texts become their words, each between two spaces, so that a rule for words in a row
-is a pattern without boundaries and a place in words is a count of spaces. Only texts
-that hold one of the keywords are turned; in those, a rule's pattern runs only where
-its own keyword stands. A detection that lies within one of higher priority, or within
-a longer one of equal priority, is suppressed. Three base phrases are counted whatever
-the rules say.
+is a pattern without boundaries and a place in words is a count of spaces. Which rules'
+keywords are among the words decides which rules run at all (the prefilter). A detection
+that lies within one of higher priority, or within a longer one of equal priority, is
+suppressed. Three base phrases are counted whatever the rules say.
 
 A null text is empty: no words, no labels, score 0. Null doc_ids stay null; repeated
 rows are scanned each. Nothing is shuffled, so no group can be hot.
@@ -25,7 +24,6 @@ from corefold.llm.common import text_or_empty
 BASE_PHRASES = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
 
 BREAKS = "[\\x00-/:-@\\[-`{-\\x7F]+"
-UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 #: Label, then names in words (| between alternatives; ? after a word that may lack; # any version number of one or two parts).
 FAMILIES = """
@@ -163,15 +161,9 @@ def rules() -> list[Rule]:
     return sorted(dict.fromkeys(found), key=lambda r: (-r.priority, r.label, r.pattern))
 
 
-def prefilter(signatures: list[Rule]) -> str:
-    """A pattern that every text matches in which a rule or a base phrase can: any of their keywords, as a whole word."""
-    words = sorted({r.keyword.strip() for r in signatures} | {keyword(p) for p in BASE_PHRASES})
-    starts = [f"{c}(?:{'|'.join(w[1:] for w in group)})" for c, group in groupby(words, key=lambda w: w[0])]
-    inner = "[0-9a-zA-Z\\x80-\\x{10FFFF}]"
-    return f"(?i)(?<!{inner})(?:{'|'.join(starts)})(?!{inner})"
-
-
-PREFILTER = prefilter(rules())
+def keywords(signatures: list[Rule]) -> list[str]:
+    """Every match of a rule or a base phrase holds one of these words."""
+    return sorted({r.keyword.strip() for r in signatures} | {keyword(p) for p in BASE_PHRASES})
 
 
 def _spaced(words: Column) -> Column:
@@ -186,9 +178,11 @@ def _count(text: Column) -> Column:
 def scan(docs: DataFrame, signatures: list[Rule] | None = None) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, detections."""
     signatures = rules() if signatures is None else signatures
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("_t"))
-    out = out.withColumn("_w", F.array_remove(F.split("_t", BREAKS), "")).withColumn("_n", F.size("_w").cast("long"))
-    out = out.select("doc_id", "_n", F.when(F.rlike("_t", F.lit(prefilter(signatures))), F.translate(_spaced(F.col("_w")), UPPER, LOWER)).otherwise("").alias("_s"))
+    # lower() folds other letters too; of those only the Kelvin sign becomes one of a-z (k), which no base phrase has
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.array_remove(F.split(F.lower(text_or_empty()), BREAKS), "").alias("_w"))
+    known = F.array(*[F.lit(k) for k in keywords(signatures)])
+    out = out.withColumn("_h", F.array_intersect("_w", known))  # the prefilter: which keywords stand in the text
+    out = out.select("doc_id", F.size("_w").cast("long").alias("_n"), "_h", F.when(F.size("_h") > 0, _spaced(F.col("_w"))).otherwise("").alias("_s"))
     # base phrases: the runs of words between their places
     for i, phrase in enumerate(BASE_PHRASES):
         out = out.withColumn(f"_b{i}", F.split("_s", pattern(phrase)))
@@ -196,8 +190,12 @@ def scan(docs: DataFrame, signatures: list[Rule] | None = None) -> DataFrame:
     first = F.least(*[F.when(n > 0, _count(F.col(f"_b{i}")[0])) for i, n in enumerate(size)])
     last = F.greatest(*[F.when(n > 0, F.col("_n") - _count(F.element_at(f"_b{i}", -1)) - len(p.split())) for i, (n, p) in enumerate(zip(size, BASE_PHRASES, strict=True))])
     base = F.array_compact(F.array(*[F.when(n > 0, F.lit(label)) for n, label in zip(size, BASE_PHRASES.values(), strict=True)]))
-    out = out.select("doc_id", F.col("_n").alias("n_words"), sum(size).cast("long").alias("n_base"), first.alias("first_word"), last.alias("last_word"), base.alias("_base"), "_s")
-    table = F.array(*[F.struct(F.lit(r.label).alias("label"), F.lit(r.priority).alias("priority"), F.lit(r.keyword).alias("keyword"), F.lit(r.pattern).alias("pattern")) for r in signatures])
+    out = out.select("doc_id", F.col("_n").alias("n_words"), sum(size).cast("long").alias("n_base"), first.alias("first_word"), last.alias("last_word"), base.alias("_base"), "_h", "_s")
+    ruled = sorted(signatures, key=lambda r: r.keyword)
+    of = lambda rs: F.array(*[F.struct(F.lit(r.label).alias("label"), F.lit(r.priority).alias("priority"), F.lit(r.pattern).alias("pattern")) for r in rs])
+    table = F.array(*[F.struct(F.lit(k.strip()).alias("keyword"), of(rs).alias("rules")) for k, rs in groupby(ruled, key=lambda r: r.keyword)])
+
+    none = F.array().cast("array<struct<first:long,to:long,rank:int,label:string>>")
 
     def places(rule: Column) -> Column:
         """(first word, last word, priority, label) of each match of one rule."""
@@ -212,10 +210,11 @@ def scan(docs: DataFrame, signatures: list[Rule] | None = None) -> DataFrame:
             ),
             lambda acc: acc["found"],
         )
-        return F.transform(walk, lambda p: F.struct(p["first"].alias("first"), (-p["last"]).alias("to"), (-rule["priority"]).alias("rank"), rule["label"].alias("label")))
+        found = F.transform(walk, lambda p: F.struct(p["first"].alias("first"), (-p["last"]).alias("to"), (-rule["priority"]).alias("rank"), rule["label"].alias("label")))
+        return F.when(F.rlike(F.col("_s"), rule["pattern"]), found).otherwise(none)
 
-    found = F.flatten(F.transform(F.filter(table, lambda r: F.contains(F.col("_s"), r["keyword"])), places))
-    none = F.array().cast("array<struct<first:long,to:long,rank:int,label:string>>")
+    run = F.flatten(F.transform(F.filter(table, lambda r: F.array_contains("_h", r["keyword"])), lambda r: r["rules"]))
+    found = F.flatten(F.transform(run, places))
     out = out.withColumn("_d", F.when(F.col("_s") == "", none).otherwise(F.sort_array(F.array_distinct(found))))
     # In this order (first word; longer first; higher priority first) whatever holds a detection comes before it.
     zero = F.lit(-1).cast("long")
