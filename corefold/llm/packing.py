@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corefold.llm import bpe
-from corefold.llm.common import give_back, map_columns, text_or_empty, written
+from corefold.llm.common import give_back, map_columns, slices, text_or_empty, written
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -115,11 +115,10 @@ def pieces(docs: DataFrame, path: str, limit: int, end_id: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = bpe.encoder(path)
         for whole in batches:
-            for at in range(0, whole.num_rows, 1000):
-                batch = whole.slice(at, 1000)
+            for batch in slices(whole, "text", 4 << 20):
                 rows: list[tuple] = []
-                for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                    ids = enc.encode(text) + end
+                for doc_id, packed in zip(batch.column(0).to_pylist(), enc.encode_all(batch.column(1).to_pylist()), strict=True):
+                    ids = packed + end
                     rows += [(doc_id, i, start, size, zlib.crc32(ids[4 * start : 4 * (start + size)])) for i, (start, size) in enumerate(cut(len(ids) // 4, limit))]
                 kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
@@ -156,8 +155,10 @@ def token_lengths(docs: DataFrame, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = bpe.encoder(path)
         for batch in batches:
-            sizes = [len(enc.encode(t)) // 4 for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64())], names=["doc_id", "n_tokens"])
+            for part in slices(batch, "text", 4 << 20):
+                sizes = [len(ids) // 4 for ids in enc.encode_all(part.column(1).to_pylist())]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64())], names=["doc_id", "n_tokens"])
+        give_back()
 
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, "doc_id long, n_tokens long")
 
@@ -169,10 +170,11 @@ def length_histogram(lengths: DataFrame) -> DataFrame:
     documents longer than it, and their tokens); docs_total, tokens_total; quantile
     (share of documents not longer); truncated_total (tokens left if every document
     were cut to this length). The rows are distinct lengths, not documents: running
-    sums are made within blocks of 1024 lengths and then carried over the blocks.
+    sums are made within blocks of 128 lengths and then carried over the blocks.
     """
-    block = 1024
-    counts = lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs"))
+    block = 128
+    # written: a few thousand rows that stand for the whole corpus, which is tokenized once
+    counts = written(lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs")))
     counts = counts.withColumn("block", F.floor(F.col("n_tokens") / block))
     tokens = F.col("n_tokens") * F.col("n_docs")
     inner = Window.partitionBy("block").orderBy(F.desc("n_tokens")).rowsBetween(Window.unboundedPreceding, -1)
