@@ -87,14 +87,14 @@ def vec2(spark: SparkSession, sf_dir: str) -> Cells:
 
 
 def vec4(spark: SparkSession, sf_dir: str) -> Cells:
-    """Label, the first m vectors of each label, and the components as 8 x 8."""
+    """Label, the place of a vector within its label, and the components as 8 x 8; zero where a label has fewer vectors than the largest."""
     from pyspark.sql import Window
 
     vectors = load_table(spark, sf_dir, "embeddings")
     numbered = vectors.withColumn("r", F.row_number().over(Window.partitionBy("label").orderBy("vec_id")) - 1)
-    m = int(vectors.groupBy("label").count().agg(F.min("count")).first()[0])
-    cells = explode_vector(numbered.filter(F.col("r") < m), "embedding", (8, 8), ids=("label", "r"))
-    return Cells(cells.select(F.col("label").cast("int").alias("i_1"), F.col("r").cast("int").alias("i_2"), F.col("p_1").alias("i_3"), F.col("p_2").alias("i_4"), F.col("val").cast("double").alias("v")), TensorSpec((10, m, 8, 8)))
+    sizes = vectors.groupBy("label").count().agg(F.max("label").alias("last"), F.max("count").alias("most")).first()
+    cells = explode_vector(numbered, "embedding", (8, 8), ids=("label", "r"))
+    return Cells(cells.select(F.col("label").cast("int").alias("i_1"), F.col("r").cast("int").alias("i_2"), F.col("p_1").alias("i_3"), F.col("p_2").alias("i_4"), F.col("val").cast("double").alias("v")), TensorSpec((int(sizes.last) + 1, int(sizes.most), 8, 8)))
 
 
 def modular4(spark: SparkSession, sf_dir: str, dims: tuple[int, int, int, int]) -> Cells:

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import json
+import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -73,6 +75,20 @@ def save_model(model: TuckerModel, path: str, mode: str = "error") -> None:
     _write_json(spark, f"{path}/meta", meta, mode)
 
 
+def saved_bytes(spark: SparkSession, model: TuckerModel) -> int:
+    """What a saved model takes on disk; it is written below the checkpoint folder and removed again."""
+    sc = spark.sparkContext
+    if not sc._jsc.sc().getCheckpointDir().isDefined():
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="corefold-checkpoint-"))
+    place = sc._jvm.org.apache.hadoop.fs.Path(f"{sc._jsc.sc().getCheckpointDir().get()}/{uuid.uuid4().hex}")
+    save_model(model, str(place.toString()))
+    fs = place.getFileSystem(sc._jsc.hadoopConfiguration())
+    size = int(fs.getContentSummary(place).getLength())
+    fs.delete(place, True)
+    return size
+
+
 def load_model(spark: SparkSession, path: str) -> TuckerModel:
     meta = _read_json(spark, f"{path}/meta")
     factors = [np.zeros((d, r)) for d, r in zip(meta["dims"], meta["ranks"], strict=True)]
