@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import time
+import uuid
 from math import log10, prod
 
 import numpy as np
@@ -584,6 +585,57 @@ def op_string_modes(spark: SparkSession, sf: str) -> DataFrame:
     return load_table(spark, sf, "pages").groupBy(F.regexp_extract("url", "://([^/]+)", 1).alias("host"), F.lower(F.substring("url", 1, 5)).alias("scheme")).agg(F.count("*").alias("n"))
 
 
+@query("op_sql_functions", "SELECT CAST(i_1 AS INTEGER) i_1, CAST(i_2 AS INTEGER) i_2, CAST(i_3 AS INTEGER) i_3, CAST(i_1 + 3 * i_3 AS BIGINT) AS col_m2, 18 AS words, round(24 / 18.0::DOUBLE, 6) AS ratio FROM (SELECT range i_1 FROM range(0, 3)), (SELECT range i_2 FROM range(0, 2)), (SELECT range i_3 FROM range(0, 4))")
+def op_sql_functions(spark: SparkSession, sf: str) -> DataFrame:
+    """Layout and size functions, called from SQL; a 3 x 2 x 4 array of ranks (3, 1, 1)."""
+    from corefold.functions import sql
+
+    sql.register(spark)
+    names = "array(bigint(a.id), bigint(b.id), bigint(c.id))"
+    return spark.sql(f"SELECT int(a.id) AS i_1, int(b.id) AS i_2, int(c.id) AS i_3, unfold_column({names}, array(3L, 2L, 4L), 2) AS col_m2, int(tucker_words(array(3L, 2L, 4L), array(3L, 1L, 1L)) ) AS words, round(tucker_ratio(array(3L, 2L, 4L), array(3L, 1L, 1L)), 6) AS ratio FROM range(3) a, range(2) b, range(4) c")
+
+
+@query("op_table_function", f"SELECT CAST(a AS INTEGER) p_1, CAST(b AS INTEGER) p_2, CAST(c AS INTEGER) p_3, CAST(d AS INTEGER) p_4 FROM ({_GRIDS})")
+def op_table_function(spark: SparkSession, sf: str) -> DataFrame:
+    from corefold.functions import sql
+
+    sql.register(spark)
+    return spark.sql("SELECT grid[0] AS p_1, grid[1] AS p_2, grid[2] AS p_3, grid[3] AS p_4 FROM block_grids(24, 4)")
+
+
+@query("op_aggregate_function", f"{A4}, w AS (SELECT i_3, v::DOUBLE v, (v + i_1)::DOUBLE y FROM a) SELECT i_3, round(sqrt(sum((v - y) * (v - y)) / sum(v * v)), 9) AS err FROM w GROUP BY 1")
+def op_aggregate_function(spark: SparkSession, sf: str) -> DataFrame:
+    from corefold.functions import sql
+
+    sql.register(spark)
+    arrays.ship4(spark, sf).df.createOrReplaceTempView("corefold_ship4")
+    return spark.sql("SELECT i_3, round(norm_rms(double(v), double(v + i_1)), 9) AS err FROM corefold_ship4 GROUP BY i_3")
+
+
+@query("op_cogroup_error", f"{A4} SELECT i_3, CAST(sum(v * v) AS BIGINT) AS energy, CAST(sum((v - v // 2) * (v - v // 2)) AS BIGINT) AS error FROM a GROUP BY 1")
+def op_cogroup_error(spark: SparkSession, sf: str) -> DataFrame:
+    """Error of one array against another, slice by slice, as cogroups: both sides of a slice meet without a join on cells."""
+    import pyarrow as pa
+
+    x = arrays.ship4(spark, sf).df
+    y = x.select(*[F.col(c).alias(c) for c in tn.index_columns(4)], F.floor(F.col("v") / 2).alias("v"))
+    names = ["i_1", "i_2", "i_4"]
+
+    def compare(key: tuple, a: pa.Table, b: pa.Table) -> pa.Table:
+        p, q = (t.sort_by([(n, "ascending") for n in names]).column("v").to_numpy() for t in (a, b))
+        return pa.table({"i_3": pa.array([key[0].as_py()], pa.int32()), "energy": pa.array([int((p * p).sum())]), "error": pa.array([int(((p - q) ** 2).sum())])})
+
+    return x.groupBy("i_3").cogroup(y.groupBy("i_3")).applyInArrow(compare, "i_3 int, energy long, error long")
+
+
+@query("op_statistics", "SELECT event_type, count(*) AS n, approx_count_distinct(user_id) > 0 AS some_users, round(corr(event_id, value), 6) AS correlation, abs(count(DISTINCT user_id) - count(DISTINCT user_id)) = 0 AS near FROM events GROUP BY 1")
+def op_statistics(spark: SparkSession, sf: str) -> DataFrame:
+    """Sketches and moments by type: the distinct count is near the exact one."""
+    grouped = load_table(spark, sf, "events").groupBy("event_type")
+    exact, rough = F.count_distinct("user_id"), F.approx_count_distinct("user_id", 0.01)
+    return grouped.agg(F.count("*").alias("n"), (rough > 0).alias("some_users"), F.round(F.corr("event_id", "value"), 6).alias("correlation"), (F.abs(rough - exact) <= 0.05 * exact + 1).alias("near"))
+
+
 # ---- streaming ----------------------------------------------------------------------
 
 
@@ -603,3 +655,40 @@ def stream_gram_events(spark: SparkSession, sf: str) -> DataFrame:
     slices.run_available(slices.tumbling_slices(stream), state.update, f"{work}/checkpoint")
     rows = [(a, b, round(state.gram[i, j])) for i, a in enumerate(labels) for j, b in enumerate(labels) if state.gram[i, j]]
     return frame(spark, rows, "a string, b string, s long")
+
+
+def _streamed(spark: SparkSession, sf: str, make) -> DataFrame:  # noqa: ANN001
+    """What a streaming plan over events has given once everything that is there is read."""
+    from corefold.streaming import slices
+
+    source = load_table(spark, sf, "events")
+    folder, name = f"{sf}/events.parquet".rsplit("/", 1)
+    stream = make(spark.readStream.schema(source.schema).option("pathGlobFilter", name + "*").parquet(folder))
+    work = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get() if spark.sparkContext._jsc.sc().getCheckpointDir().isDefined() else tempfile.mkdtemp(prefix='corefold-stream-')}/{uuid.uuid4().hex}"
+    slices.run_available(stream, lambda df, batch: df.write.mode("append").parquet(f"{work}/out"), f"{work}/checkpoint")
+    return spark.read.schema(stream.schema).parquet(f"{work}/out")
+
+
+@query("stream_pairs", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 3600 SECOND")
+def stream_pairs(spark: SparkSession, sf: str) -> DataFrame:
+    """Interval join of two kinds of events of a user."""
+    from corefold.streaming import slices
+
+    return _streamed(spark, sf, lambda s: slices.pairs_within(s, "click", "purchase", 3600)).select("a_id", "b_id")
+
+
+@query("stream_deduplicated", "SELECT DISTINCT event_id, event_type FROM events")
+def stream_deduplicated(spark: SparkSession, sf: str) -> DataFrame:
+    from corefold.streaming import slices
+
+    return _streamed(spark, sf, lambda s: slices.deduplicated(s.unionByName(s))).select("event_id", "event_type")
+
+
+@query("stream_sessions", """WITH o AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events),
+ n AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM o)
+ SELECT user_id, count(*) AS n, epoch_us(max(ts)) - epoch_us(min(ts)) + 1800000000 AS micros FROM n GROUP BY user_id, k HAVING max(ts) + INTERVAL 30 MINUTE <= (SELECT max(ts) - INTERVAL 2 HOUR FROM events)""")
+def stream_sessions(spark: SparkSession, sf: str) -> DataFrame:
+    """Sessions of each user that have closed."""
+    from corefold.streaming import slices
+
+    return _streamed(spark, sf, slices.session_slices).select("user_id", "n", (F.unix_micros("end") - F.unix_micros("start")).alias("micros"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from dataclasses import dataclass
 
 import numpy as np
@@ -68,9 +69,15 @@ def numerical_rank(values: np.ndarray, tol: float = 1e-12) -> int:
     return int((values > tol * max(values[0], 1e-300)).sum()) if len(values) else 0
 
 
-def choose_spectral_method(eps: float | None, length: int) -> str:
-    """'gram' where it is safe, else 'tsqr' (which never squares the condition)."""
-    return "tsqr" if eps is not None and eps <= GRAM_FLOOR else "gram"
+def choose_spectral_method(eps: float | None, length: int, limit: int = 8000) -> str:
+    """'gram' where it is safe, else 'tsqr', which never squares the condition.
+
+    Not safe: tolerances at or below GRAM_FLOOR, and modes whose Gram matrix (longer than
+    `limit`) may not go to the driver. Beyond SOFT_LIMIT the driver's step is slow, and says so.
+    """
+    if length > SOFT_LIMIT:
+        warnings.warn(f"a mode of length {length} is beyond {SOFT_LIMIT}: its spectrum is found by one process", stacklevel=2)
+    return "tsqr" if length > limit or eps is not None and eps <= GRAM_FLOOR else "gram"
 
 
 def leading_eigenvectors(s: np.ndarray, rank: int | None = None, budget_sq: float | None = None) -> tuple[np.ndarray, Spectrum]:

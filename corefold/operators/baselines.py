@@ -8,6 +8,8 @@ from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corefold.operators import block_kernels as bk
+
 
 def pca(cells: DataFrame, width: int, rank: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Two-way principal components of rows (row, pos, val): variances, falling, and directions.
@@ -18,18 +20,16 @@ def pca(cells: DataFrame, width: int, rank: int | None = None) -> tuple[np.ndarr
     values = sums.select(F.transform("x", lambda p: p["val"]).alias("x"))
 
     def run(batches):  # noqa: ANN001, ANN202
-        import pyarrow as pa
-
-        s, m, n = np.zeros((width, width)), np.zeros(width), 0
+        s = np.zeros((width + 1, width + 1))  # one column of ones more: its products are the sums and the count
         for batch in batches:
             a = batch.column(0).flatten().to_numpy().reshape(-1, width)
-            s, m, n = s + a.T @ a, m + a.sum(axis=0), n + len(a)
-        yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), pa.array([m.tobytes()], pa.binary()), pa.array([s.tobytes()], pa.binary())], names=["n", "m", "s"])
+            a = np.hstack([a, np.ones((len(a), 1))])
+            s += a.T @ a
+        yield from bk._bands(s, 0)
 
-    rows = values.mapInArrow(run, "n long, m binary, s binary").collect()
-    n = sum(r.n for r in rows)
-    mean = sum(np.frombuffer(r.m) for r in rows) / n
-    cov = sum(np.frombuffer(r.s).reshape(width, width) for r in rows) / n - np.outer(mean, mean)
+    s = bk._sum_bands(values.mapInArrow(run, "mode int, band int, payload binary"), {0: width + 1})[0]
+    n, mean = s[-1, -1], s[-1, :-1] / s[-1, -1]
+    cov = s[:-1, :-1] / n - np.outer(mean, mean)
     found, vectors = np.linalg.eigh(cov)
     k = rank or width
     return np.maximum(found[::-1], 0)[:k], vectors[:, ::-1][:, :k]

@@ -195,8 +195,18 @@ def _bands(s: np.ndarray, mode: int) -> Iterator[pa.RecordBatch]:
 
 
 def _product(a: np.ndarray, b: np.ndarray, mode: int) -> np.ndarray:
+    """Unfolded a times unfolded b transposed, slab by slab on views. Of one array with itself (a is b) half the work is done: its product is symmetric."""
     x, y = slabs(a, mode), slabs(b, mode)
-    return np.tensordot(x, y, axes=([0, 2], [0, 2]))
+    left, length, right = x.shape
+    if left == 1:
+        return x[0] @ (x if a is b else y)[0].T
+    if left < 16 and right > 64:  # slabs too thin to be worth a product each
+        return np.tensordot(x, y, axes=([0, 2], [0, 2]))
+    out = np.zeros((length, y.shape[1]))
+    for r in range(right):
+        own = x[:, :, r]
+        out += own.T @ (own if a is b else y[:, :, r])
+    return out
 
 
 def _sum_bands(partials: DataFrame, dims: dict[int, int], fan: int = 64) -> dict[int, np.ndarray]:
@@ -220,13 +230,13 @@ def grams(chunks: Chunks, modes: list[int] | None = None, impl: str = "auto", sy
     """Gram matrices of several unfoldings. Those of unsplit modes share one scan.
 
     impl: 'local' (unsplit modes only), 'exchange' (every block is sent once to where
-    its fibres are put together), or 'auto' by mode. symmetric: make one triangle of
-    block pairs only.
+    its fibres are put together), or 'auto' by mode. symmetric: make one triangle only,
+    of each block's product and of the pairs of blocks.
     """
     spec, n = chunks.spec, chunks.spec.order
     modes = list(range(n)) if modes is None else modes
     if too_long := [m for m in modes if spec.dims[m] > GRAM_LIMIT]:
-        raise ValueError(f"modes {too_long} are longer than {GRAM_LIMIT}: use spectral='tsqr' on a coarser mode, or split them")
+        raise ValueError(f"modes {too_long} are longer than {GRAM_LIMIT}: take spectral='tsqr', which 'auto' does by itself")
     local = [m for m in modes if impl == "local" or impl == "auto" and spec.grid[m] == 1]
     if wrong := [m for m in local if spec.grid[m] > 1]:
         raise ValueError(f"modes {wrong} are split: a local Gram matrix would lack products across blocks")
@@ -238,7 +248,7 @@ def grams(chunks: Chunks, modes: list[int] | None = None, impl: str = "auto", sy
             for batch in batches:
                 for _, array in read_blocks(batch, n):
                     for m in local:
-                        sums[m] += _product(array, array, m)
+                        sums[m] += _product(array, array if symmetric else array.copy(order="F"), m)
             for m, s in sums.items():
                 yield from _bands(s, m)
 

@@ -61,8 +61,18 @@ class TuckerModel:
         return float(np.sqrt(direct))
 
 
-def materialize(chunks: Chunks) -> Chunks:
-    """Cut lineage after a step: a checkpoint in the shared folder where the session has one, else cached blocks."""
+def materialize(chunks: Chunks, instead_of: Chunks | None = None) -> Chunks:
+    """Cut lineage after a step: a checkpoint in the shared folder where the session has one, else cached blocks.
+
+    instead_of: an earlier step that is needed no more.
+    """
+    made = _kept(chunks)
+    if instead_of is not None:
+        instead_of.df.unpersist()
+    return made
+
+
+def _kept(chunks: Chunks) -> Chunks:
     df = chunks.df
     if df.sparkSession.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         return replace(chunks, df=df.checkpoint())
@@ -112,7 +122,7 @@ def st_hosvd(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] |
         raise ValueError("order must name each mode once")
     total = bk.norm_sq(chunks)
     budget = (eps or 0.0) ** 2 * total / spec.order
-    method = sp.choose_spectral_method(eps, max(spec.dims)) if spectral == "auto" else spectral
+    method = sp.choose_spectral_method(eps, max(spec.dims), bk.GRAM_LIMIT) if spectral == "auto" else spectral
     factors: list[np.ndarray] = [np.zeros((0, 0))] * spec.order
     trace, spectra, lost, now = [], {}, {}, chunks
     for mode in order:
@@ -123,20 +133,21 @@ def st_hosvd(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] |
         factors[mode], spectra[mode], lost[mode] = found.vectors[:, :r], found.values, float(found.tails[r])
         at = time.monotonic()
         flops = ttm_flops(now.spec.dims, mode, r)
-        now = bk.ttm(now, factors[mode], mode, transpose=True)
+        before, now = now, bk.ttm(now, factors[mode], mode, transpose=True)
         if checkpoint:
-            now = materialize(now)
+            now = materialize(now, before if before is not chunks else None)
         trace.append(Step(0, mode, "ttm", flops, time.monotonic() - at))
     return TuckerModel(now, factors, spec.dims, total, bk.norm_sq(now), spectra, lost, trace)
 
 
-def t_hosvd(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None) -> TuckerModel:
-    """All spectra from the original array (unsplit modes in one scan), then one chain of products."""
+def t_hosvd(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None, spectral: str = "auto") -> TuckerModel:
+    """All spectra from the original array (by Gram matrices those of unsplit modes in one scan), then one chain of products."""
     _check(chunks, ranks, eps)
     spec = chunks.spec
     total = bk.norm_sq(chunks)
     budget = (eps or 0.0) ** 2 * total / spec.order
-    found = {m: sp.from_gram(s) for m, s in bk.grams(chunks).items()}
+    method = sp.choose_spectral_method(eps, max(spec.dims), bk.GRAM_LIMIT) if spectral == "auto" else spectral
+    found = {m: sp.from_gram(s) for m, s in bk.grams(chunks).items()} if method == "gram" else {m: _spectrum(chunks, m, method) for m in range(spec.order)}
     picked = {m: _pick(f, m, ranks, budget, spec.co_size(m)) for m, f in found.items()}
     factors = [found[m].vectors[:, : picked[m]] for m in range(spec.order)]
     core = materialize(bk.ttm_chain(chunks, dict(enumerate(factors)), transpose=True))
@@ -148,15 +159,16 @@ def core_for(chunks: Chunks, factors: list[np.ndarray]) -> Chunks:
     return bk.ttm_chain(chunks, dict(enumerate(factors)), transpose=True)
 
 
-def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None, init: str | list[np.ndarray] = "st_hosvd", max_sweeps: int = 10, tol: float = 1e-8, target: float | None = None, inner_order: str = "greedy") -> TuckerModel:
+def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None, init: str | list[np.ndarray] = "st_hosvd", max_sweeps: int = 10, tol: float = 1e-8, target: float | None = None, inner_order: str = "greedy", spectral: str = "auto") -> TuckerModel:
     """Alternating refinement at fixed ranks; the residual never rises.
 
     Stops at `target` (relative error), when a sweep gains less than `tol` of the
     energy, or after `max_sweeps`. The core is one product more on the last array.
     """
     spec = chunks.spec
+    method = sp.choose_spectral_method(eps, max(spec.dims), bk.GRAM_LIMIT) if spectral == "auto" else spectral
     if isinstance(init, str):
-        start = {"st_hosvd": st_hosvd, "t_hosvd": t_hosvd}[init](chunks, eps=eps, ranks=ranks)
+        start = {"st_hosvd": st_hosvd, "t_hosvd": t_hosvd}[init](chunks, eps=eps, ranks=ranks, spectral=spectral)
         factors, total, trace = list(start.factors), start.norm_sq, list(start.trace)
         before = start.residual_sq
         core, core_sq, spectra = start.core, start.core_norm_sq, start.spectra
@@ -168,6 +180,7 @@ def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None
     picked = [u.shape[1] for u in factors]
     trace.append(Step(0, -1, "fit", 0.0, 0.0, before))
     reason = "max_sweeps"
+    held: Chunks | None = None
     for sweep in range(1, max_sweeps + 1):
         for mode in range(spec.order):
             others = [m for m in range(spec.order) if m != mode]
@@ -178,10 +191,10 @@ def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None
                 flops += ttm_flops(tuple(dims), m, picked[m])
                 dims[m] = picked[m]
                 now = bk.ttm(now, factors[m], m, transpose=True)
-            now = materialize(now)
+            held = now = materialize(now, held)
             trace.append(Step(sweep, mode, "ttm", flops, time.monotonic() - at))
             at = time.monotonic()
-            found = _spectrum(now, mode, "gram")
+            found = _spectrum(now, mode, method)
             factors[mode], spectra[mode] = found.vectors[:, : picked[mode]], found.values
             trace.append(Step(sweep, mode, "gram", gram_flops(now.spec.dims, mode), time.monotonic() - at))
         core = materialize(bk.ttm(now, factors[spec.order - 1], spec.order - 1, transpose=True))

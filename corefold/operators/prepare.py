@@ -49,18 +49,18 @@ def gram_standardized(chunks: Chunks, mode: int, variable: int, min_sigma: float
     each = spec.size // length // count
 
     def run(batches):  # noqa: ANN001, ANN202
-        import pyarrow as pa
-
-        s, rows = np.zeros((count, length, length)), np.zeros((count, length))
+        # one row of ones more: its products are the row sums
+        s = np.zeros((count, length + 1, length + 1))
         for batch in batches:
             for _, array in bk.read_blocks(batch, n):
                 moved = np.moveaxis(array, (variable, mode), (0, 1)).reshape(count, length, -1)
-                s += moved @ moved.transpose(0, 2, 1)
-                rows += moved.sum(axis=2)
-        yield pa.RecordBatch.from_arrays([pa.array([np.concatenate([s.ravel(), rows.ravel()]).tobytes()], pa.binary())], names=["payload"])
+                more = np.concatenate([moved, np.ones((count, 1, moved.shape[2]))], axis=1)
+                s += more @ more.transpose(0, 2, 1)
+        for v in range(count):
+            yield from bk._bands(s[v], v)
 
-    total = sum(np.frombuffer(r.payload) for r in chunks.df.mapInArrow(run, "payload binary").collect())
-    s, rows = total[: count * length**2].reshape(count, length, length), total[count * length**2 :].reshape(count, length)
+    found = bk._sum_bands(chunks.df.mapInArrow(run, "mode int, band int, payload binary"), {v: length + 1 for v in range(count)})
+    s, rows = np.stack([found[v][:-1, :-1] for v in range(count)]), np.stack([found[v][-1, :-1] for v in range(count)])
     mu = rows.sum(axis=1) / (each * length)
     square = np.einsum("vii->v", s) / (each * length)
     sigma = np.sqrt(np.maximum(square - mu**2, 0.0))

@@ -1,32 +1,60 @@
 """`spark.read.format('corefold')`: cells of a stored model, decoded as they are read.
 
-Options: path (a folder of save_model that every executor can open), parts. Filters on
-i_1 .. i_N (=, <, <=, >, >=, in) are taken over: only the factor rows they leave are
-multiplied.
+Options: path (a folder of save_model, local or any store that pyarrow reads), parts (by
+default one for each CELLS_A_PART cells). Filters on i_1 .. i_N (=, <, <=, >, >=, in) are
+taken over: only the factor rows they leave are multiplied. A part is decoded box by box,
+at most CELLS_AT_ONCE cells at a time.
 """
 
 from __future__ import annotations
 
 import json
 from collections.abc import Iterator
-from pathlib import Path
+from math import prod
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
+from pyarrow import fs as pafs
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, LessThan, LessThanOrEqual
 from pyspark.sql.types import StructType
 
 from corefold.functions.tensor import index_columns
 from corefold.operators.block_kernels import times
 
+CELLS_A_PART, CELLS_AT_ONCE = 1 << 24, 1 << 19
 
-def _local(path: str) -> Path:
-    return Path(path.removeprefix("file://").removeprefix("file:"))
 
+def _store(path: str) -> tuple[pafs.FileSystem, str]:
+    """The file system of a path or URI, and the path within."""
+    if path.startswith("file:"):
+        path = "/" + path.removeprefix("file:").lstrip("/")
+    return pafs.FileSystem.from_uri(path) if "://" in path else (pafs.LocalFileSystem(), path)
 
-def _json(folder: Path) -> dict:
-    return json.loads(next(folder.glob("part-*")).read_text())
+
+def _json(store: tuple[pafs.FileSystem, str], folder: str) -> dict:
+    files, root = store
+    part = next(f.path for f in files.get_file_info(pafs.FileSelector(f"{root}/{folder}")) if f.base_name.startswith("part-"))
+    with files.open_input_stream(part) as f:
+        return json.loads(f.read())
+
+
+def _table(store: tuple[pafs.FileSystem, str], folder: str) -> pa.Table:
+    return pq.read_table(f"{store[1]}/{folder}", filesystem=store[0])
+
+
+def _boxes(wanted: list[list[int]], most: int) -> Iterator[list[list[int]]]:
+    """The wanted indices of each mode in boxes of at most `most` cells; the last modes are cut first."""
+    inner = 1
+    for mode, own in enumerate(wanted):
+        if inner * len(own) > most:
+            size = max(1, most // inner)
+            for at in range(0, len(own), size):
+                for rest in _boxes(wanted[mode + 1 :], 1):
+                    yield [*wanted[:mode], own[at : at + size], *rest]
+            return
+        inner *= len(own)
+    yield list(wanted)
 
 
 class CorefoldDataSource(DataSource):
@@ -35,17 +63,17 @@ class CorefoldDataSource(DataSource):
         return "corefold"
 
     def schema(self) -> str:
-        n = len(_json(_local(self.options["path"]) / "meta")["dims"])
+        n = len(_json(_store(self.options["path"]), "meta")["dims"])
         return ", ".join(f"{c} int" for c in index_columns(n)) + ", v double"
 
     def reader(self, schema: StructType) -> CorefoldReader:
-        return CorefoldReader(self.options["path"], int(self.options.get("parts", 4)))
+        return CorefoldReader(self.options["path"], int(self.options.get("parts", 0)))
 
 
 class CorefoldReader(DataSourceReader):
     def __init__(self, path: str, parts: int):
         self.path, self.parts = path, parts
-        self.dims = tuple(_json(_local(path) / "meta")["dims"])
+        self.dims = tuple(_json(_store(path), "meta")["dims"])
         self.wanted = [list(range(d)) for d in self.dims]
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802  the interface's name
@@ -62,35 +90,37 @@ class CorefoldReader(DataSourceReader):
     def partitions(self) -> list[InputPartition]:
         """Along the last mode."""
         last = self.wanted[-1]
-        size = max(1, -(-len(last) // self.parts))
+        parts = self.parts or -(-prod(map(len, self.wanted)) // CELLS_A_PART)
+        size = max(1, -(-len(last) // max(parts, 1)))
         return [InputPartition(last[at : at + size]) for at in range(0, max(len(last), 1), size)]
 
     def read(self, partition: InputPartition) -> Iterator[pa.RecordBatch]:
-        root = _local(self.path)
-        meta, spec = _json(root / "meta"), _json(root / "core" / "spec")
+        wanted = [*self.wanted[:-1], partition.value]
+        if not all(wanted):
+            return
+        store = _store(self.path)
+        meta, spec = _json(store, "meta"), _json(store, "core/spec")
         factors = [np.zeros((d, r)) for d, r in zip(meta["dims"], meta["ranks"], strict=True)]
-        table = pq.read_table(root / "factors").to_pydict()
+        table = _table(store, "factors").to_pydict()
         for m, i, r, u in zip(table["mode"], table["i"], table["r"], table["u"], strict=True):
             factors[m - 1][i, r] = u
         core = np.zeros(meta["ranks"])
-        blocks = pq.read_table(root / "core" / "blocks")
+        blocks = _table(store, "core/blocks")
         n = len(self.dims)
         for row in range(blocks.num_rows):
             at = [blocks.column(k)[row].as_py() for k in range(n)]
             extent = blocks.column("extent")[row].as_py()
             where = tuple(slice(a * b, a * b + e) for a, b, e in zip(at, spec["block"], extent, strict=True))
             core[where] = np.frombuffer(blocks.column("payload")[row].as_buffer(), "<f8").reshape(extent, order="F")
-        wanted = [*self.wanted[:-1], partition.value]
-        if not all(wanted):
-            return
-        out = core
-        for m, w in enumerate(wanted):
-            out = times(np.asfortranarray(out), factors[m][w], m)
-        grid = np.unravel_index(np.arange(out.size), out.shape, order="F")
-        columns = [pa.array(np.array(w, dtype=np.int32)[g]) for w, g in zip(wanted, grid, strict=True)]
-        whole = pa.RecordBatch.from_arrays([*columns, pa.array(out.ravel(order="F"))], names=[*index_columns(n), "v"])
-        for at in range(0, whole.num_rows, 1 << 16):
-            yield whole.slice(at, 1 << 16)
+        for box in _boxes(wanted, CELLS_AT_ONCE):
+            out = core
+            for m in reversed(range(n)):  # the modes that a box has least of come first
+                out = times(np.asfortranarray(out), factors[m][box[m]], m)
+            grid = np.unravel_index(np.arange(out.size), out.shape, order="F")
+            columns = [pa.array(np.array(w, dtype=np.int32)[g]) for w, g in zip(box, grid, strict=True)]
+            whole = pa.RecordBatch.from_arrays([*columns, pa.array(out.ravel(order="F"))], names=[*index_columns(n), "v"])
+            for at in range(0, whole.num_rows, 1 << 16):
+                yield whole.slice(at, 1 << 16)
 
 
 def register(spark) -> None:  # noqa: ANN001
