@@ -121,7 +121,7 @@ def proposed(held: DataFrame) -> DataFrame:
     """stratum, rule, cutoff, place: at most one cutoff for each rule, those of more worth first; from the tuning documents."""
     names = list(rates())
     tuning = held.filter("tune")
-    quantiles = [F.percentile_approx(F.when(F.col("good"), F.col(n)), list(LEVELS), 10_000).alias(n) for n in names]
+    quantiles = [F.percentile(F.when(F.col("good"), F.col(n)), F.array(*map(F.lit, LEVELS))).alias(n) for n in names]  # exact: the same in every run
     # and one that is milder than all seen: as far beyond the last as that is beyond the first
     milder = [F.array_distinct(F.concat(n, F.array(2 * F.element_at(n, -1) - F.element_at(n, 1)))).alias(n) for n in names]
     grid = _few(tuning.groupBy("stratum").agg(*quantiles).select("stratum", *milder)).alias("g")

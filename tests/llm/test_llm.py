@@ -419,6 +419,12 @@ def labelled_corpus():
     return out
 
 
+def percentile(values, level):
+    at = level * (len(values) - 1)
+    low, high = int(np.floor(at)), int(np.ceil(at))
+    return values[low] if low == high or values[low] == values[high] else (high - at) * values[low] + (at - low) * values[high]
+
+
 def brute_kept(judged, labels, risk, error):
     """kept of each id, by the module's method, from its measures, in plain Python."""
     import xxhash
@@ -432,9 +438,9 @@ def brute_kept(judged, labels, risk, error):
         for rule in quality.rates():
             good = sorted(value[i][rule] for i, (s, q) in held.items() if s == stratum and q == 1 and tune[i])
             bad = [value[i][rule] for i, (s, q) in held.items() if s == stratum and q == 0 and tune[i]]
-            cuts = {good[max(0, int(np.ceil(level * len(good))) - 1)] for level in quality.LEVELS} if good else set()
+            cuts = {percentile(good, level) for level in quality.LEVELS} if good else set()
             if cuts:
-                cuts.add(2 * max(cuts) - good[max(0, int(np.ceil(quality.LEVELS[0] * len(good))) - 1)])
+                cuts.add(2 * percentile(good, quality.LEVELS[-1]) - percentile(good, quality.LEVELS[0]))
             tried = [(sum(v > c for v in bad) - quality.COST * sum(v > c for v in good), c) for c in cuts]
             if tried and max(tried)[0] > 0:
                 c, worth = max((c, w) for w, c in tried if w >= quality.NEARLY * max(tried)[0])
