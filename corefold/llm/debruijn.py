@@ -141,7 +141,7 @@ def remove_repeats(docs: DataFrame, w: int = 50, k: int = 16, **limits: int) ->
 
 
 def _removed(docs: DataFrame, spec: windows.Spec) -> DataFrame:
-    parts = partitions_for(docs)
+    parts = partitions_for(docs, 8 << 20)
     known = windows.identified(docs)
     found = windows.repeated(known, spec, parts)
     edges = written(windows.by_document(match_edges(edge_parts(known, found, spec, parts), spec, parts)))

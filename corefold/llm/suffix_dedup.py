@@ -31,7 +31,7 @@ from corefold.llm.common import give_back, partitions_for, slices, text_or_empty
 
 RUN = np.dtype([("doc", "<i8"), ("tid", "<i8"), ("first", "<i4"), ("size", "<i4")])
 #: Bytes of tuples that a shard's queue holds before it uses the disk.
-QUEUE_MEMORY = 64 << 20
+QUEUE_MEMORY = 32 << 20
 
 
 def cut_out(docs: DataFrame, found: DataFrame, spec: windows.Spec, parts: int) -> DataFrame:
@@ -196,7 +196,7 @@ def remove_spans(data: bytes, blobs: list[bytes] | None, w: int) -> tuple[bytes,
 def repeats(docs: DataFrame, w: int = 100, k: int = 32, **limits: int) -> DataFrame:
     """doc_id, tid, spans (packed) of the documents that repeat a string of w bytes. limits: hot, heavy, flush (see windows.Spec)."""
     spec = windows.Spec(w, k, words=False, by_doc=False, **limits)
-    parts = partitions_for(docs, 6 << 20)
+    parts = partitions_for(docs, 3 << 20)
     known = windows.identified(docs)
     found = windows.repeated(known, spec, parts)
     sorted_ = windows.by_document(sort_shards(cut_out(known, found, spec, parts), spec, parts))

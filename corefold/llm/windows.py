@@ -36,6 +36,8 @@ FOUND = "doc_id long, tid long, spans binary, open binary"
 BY_ANCHOR, REPEATS, OPENED, BY_CONTEXT, COUNTS, PIECES = range(6)
 #: Bytes of text that are hashed at once.
 SLICE = 1 << 20
+#: Anchors in one row; a row of less than half a megabyte is no burden to the JVM's heap.
+ROW = 10_000
 #: Buckets of anchors that are counted.
 BUCKETS = 1 << 16
 
@@ -55,7 +57,7 @@ class Spec(NamedTuple):
     bits: int = 64  # of each hash; fewer only to see what happens when different texts meet
     hot: int = 2_000  # contexts of one anchor from which on they are dealt out by what lies around it
     heavy: int = 1_000_000  # records of a bucket beyond its share from which on it is dealt by context
-    flush: int = 300_000  # anchors that a task gathers before it sends them on
+    flush: int = 150_000  # anchors that a task gathers before it sends them on
 
 
 _WHITE = np.zeros(256, dtype=bool)
@@ -198,8 +200,8 @@ def anchor_rows(docs: DataFrame, spec: Spec, parts: int) -> DataFrame:
             yield from send_repeats(parts, c, x["doc"], x["tid"], x["first"], x["n"].astype(np.int32))
             x = x[np.sort(c.order[~c.repeat])]
             counts += np.bincount(_bucket_of(x["h"]), minlength=BUCKETS)
-            for at in range(0, len(x), 50_000):
-                y = x[at : at + 50_000]
+            for at in range(0, len(x), ROW):
+                y = x[at : at + ROW]
                 yield _rows(np.array([-1]), BY_ANCHOR, np.array([0, y.nbytes]), y.tobytes())
 
         for whole in batches:
@@ -245,7 +247,7 @@ def dealt(rows: DataFrame, heavy: np.ndarray, parts: int) -> DataFrame:
             for kind, blob in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
                 if kind == BY_ANCHOR:
                     held.append(blob.as_buffer().to_pybytes())
-                if held and sum(map(len, held)) > 12 << 20:
+                if held and sum(map(len, held)) > 6 << 20:
                     yield from _deal(held, heavy, parts)
                     held.clear()
             if held:
