@@ -28,8 +28,8 @@ from corefold.llm.common import REMEMBERED, checkpoint_dir, give_back, slices, t
 
 #: Words kept in the lexicon, by default.
 LEXICON_WORDS = 65_536
-#: Remembered words of one worker, in each of two generations, and words that a task counts before it sends them on.
-CACHE_WORDS = 150_000
+#: Remembered words of one worker, in each of two generations, and those that a task counts before it sends them on.
+CACHE_WORDS = 300_000
 #: Words that occur less often are not worth a place in a lexicon.
 LEAST_COUNT = 4
 
@@ -209,6 +209,7 @@ class Encoder(dict):
         self._merge = tiktoken.Encoding("merge", pat_str=PRETOKENS, mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
         self.pretokens = regex.compile(PRETOKENS).findall
         self._newline = self.slow("\n")
+        self._marks = {c: self.slow(c) for c in ".,;:!?"}
         special = self.vocabulary.special
         self._special = regex.compile("(" + "|".join(map(regex.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
         most = max(self.vocabulary.bytes_of) + 1
@@ -233,15 +234,22 @@ class Encoder(dict):
         if chunk.isascii():  # a word, or a word and a mark
             if chunk.isalpha():
                 return [" " + chunk]
-            if chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
+            if chunk[-1] in self._marks and chunk[:-1].isalpha():
                 return [" " + chunk[:-1], chunk[-1]]
         return self.pretokens(" " + chunk)
 
     def __missing__(self, chunk: str) -> bytes:
         if (ids := self._old.get(chunk)) is None:
-            if _clashes(chunk):
+            if chunk.isalpha() and chunk.isascii():  # a word
+                ids = array("I", self._merge(b" " + chunk.encode())).tobytes()
+            elif chunk[-1:] in self._marks and chunk[:-1].isalpha() and chunk.isascii():  # a word and a mark
+                ids = self[chunk[:-1]] + self._marks[chunk[-1]]
+            elif _clashes(chunk):
                 raise _Clashing
-            ids = b"".join([array("I", self._merge(p.encode())).tobytes() for p in self._cut(chunk)])
+            elif chunk[0] == "\n":
+                return self._newline + self._begin(chunk[1:])
+            else:
+                ids = self.slow(" " + chunk)
         self[chunk] = ids
         return ids
 
@@ -354,7 +362,7 @@ def frequent_words(texts: DataFrame, column: str, words: int) -> list[str]:
         for batch in batches:
             for text in batch.column(0).to_pylist():
                 counts.update(text.split())
-                if len(counts) > 2 * CACHE_WORDS:
+                if len(counts) > CACHE_WORDS:
                     yield flush()
         if counts:
             yield flush()
