@@ -38,9 +38,12 @@ def written(df: DataFrame, instead_of: Iterable[DataFrame] = ()) -> DataFrame:
     spark = df.sparkSession
     path = f"{checkpoint_dir(spark)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
+    instead_of = list(instead_of)
     for old in instead_of:
         place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(old._written_at)
         place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+    if instead_of:  # the shuffles behind them go once the driver's collector has seen that nobody holds them
+        spark.sparkContext._jvm.System.gc()
     out = spark.read.schema(df.schema).parquet(path)
     out._written_at = path
     return out
