@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 
 from corefold.functions import measures as ms
+from corefold.functions import spectrum as sp
 from corefold.functions.tensor import Cells, TensorSpec
 from corefold.operators import block_kernels as bk
 from corefold.operators import decode, prepare
@@ -124,3 +125,28 @@ def test_planner():
     assert planner.choose_grid((384,) * 4, (96,) * 4, 24)[0][0] == 1
     plan = planner.plan_decomposition(TensorSpec((40, 30, 20)), (4, 3, 2), 8)
     assert sorted(plan.order) == [0, 1, 2] and np.prod(plan.spec.grid) == 8
+
+
+def test_spectrum_is_that_of_the_library(spark):
+    """Squared singular values of an unfolding by the library's own decomposition of its rows."""
+    from pyspark.mllib.linalg.distributed import RowMatrix
+
+    x = np.random.default_rng(5).standard_normal((5, 4, 6))
+    found = sp.from_gram(bk.gram(bk.from_array(spark, x, (5, 2, 3)), 0)).values
+    rows = np.moveaxis(x, 0, 2).reshape(-1, 5)
+    sigma = RowMatrix(spark.sparkContext.parallelize(rows.tolist(), 2)).computeSVD(5).s.toArray()
+    assert np.allclose(found, sigma**2)
+
+
+def test_working_memory_is_about_three_times_the_data():
+    for dims, ranks, grid in (((200,) * 4, (20,) * 4, (1, 2, 3, 4)), ((384,) * 4, (96,) * 4, (1, 1, 4, 6))):
+        share = cm.peak_memory(dims, ranks, grid) * np.prod(grid) / np.prod(dims)
+        assert 2 <= share < 3
+
+
+def test_guard_of_the_gram_route():
+    assert sp.choose_spectral_method(1e-3, 500) == "gram" and sp.choose_spectral_method(1e-9, 500) == "tsqr"
+    with pytest.warns(UserWarning):
+        assert sp.choose_spectral_method(1e-3, 3000) == "gram"
+    with pytest.warns(UserWarning):
+        assert sp.choose_spectral_method(None, 9000) == "tsqr"
