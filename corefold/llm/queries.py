@@ -110,6 +110,26 @@ WITH u AS (
 SELECT query_id, CAST(rn AS INTEGER) AS "rank", vec_id, score FROM r WHERE rn <= 5
 """
 
+#: Bytes as hexadecimal digits; positions count within a document (below 10^9 bytes).
+OP2_SQL = """
+WITH docs AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+bounds AS (SELECT doc_id, h, unnest(generate_series(0, CAST(length(h) // 2 AS BIGINT), 1000)) AS base FROM docs),
+pieces AS (SELECT doc_id, base, substr(h, 2 * base + 1, 2198) AS p FROM bounds),
+starts AS (SELECT doc_id, base, p, unnest(generate_series(0, least(999, CAST(length(p) // 2 AS BIGINT) - 100))) AS i FROM pieces WHERE length(p) >= 200),
+win AS (SELECT doc_id, base + i AS pos, md5_number(substr(p, 2 * i + 1, 200)) AS w FROM starts),
+firsts AS (SELECT w, min(doc_id * 1000000000 + pos) AS earliest FROM win GROUP BY w HAVING count(*) > 1),
+repeats AS (SELECT doc_id, pos FROM win JOIN firsts USING (w) WHERE doc_id * 1000000000 + pos > earliest),
+marked AS (SELECT doc_id, pos, coalesce(pos > lag(pos) OVER (PARTITION BY doc_id ORDER BY pos) + 100, true) AS opens FROM repeats),
+numbered AS (SELECT doc_id, pos, sum(CAST(opens AS INTEGER)) OVER (PARTITION BY doc_id ORDER BY pos) AS run FROM marked),
+spans AS (SELECT doc_id, min(pos) AS a, max(pos) + 100 AS b FROM numbered GROUP BY doc_id, run),
+gaps AS (SELECT doc_id, a, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY a), 0) AS before FROM spans),
+totals AS (SELECT doc_id, sum(b - a) AS n_removed, count(*) AS n_spans, max(b) AS last FROM spans GROUP BY doc_id),
+kept AS (SELECT doc_id, string_agg(substr(h, 2 * before + 1, 2 * (a - before)), '' ORDER BY a) AS k FROM gaps JOIN docs USING (doc_id) GROUP BY doc_id)
+SELECT doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans,
+       sha256(unhex(coalesce(k, '') || substr(h, 2 * coalesce(last, 0) + 1))) AS kept_sha256
+FROM docs LEFT JOIN totals USING (doc_id) LEFT JOIN kept USING (doc_id)
+"""
+
 OP10_SQL = """
 WITH w AS (
   SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents
@@ -130,4 +150,4 @@ FROM w LEFT JOIN kept ON kept.doc_id = w.doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_top_k": OP1_SQL, "op10_debruijn": OP10_SQL}
+    return {"op1_top_k": OP1_SQL, "op2_suffix_dedup": OP2_SQL, "op10_debruijn": OP10_SQL}
