@@ -91,11 +91,16 @@ def _scored(batches: Iterator[pa.RecordBatch], queries: np.ndarray, rows: int) -
 def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, block: int = 4096) -> DataFrame:
     """Both: vec_id long, v array<double> of whole numbers. The k best candidates of each query by inner product."""
     spark = candidates.sparkSession
-    out = None
+    largest: dict[int, float | None] = {}  # by vector length
+    done = []
     for ids, vectors in _blocks(queries, block):
-        found = _one_block(candidates, ids, vectors, k)
-        out = found if out is None else out.unionByName(found)
-    return spark.createDataFrame([], RESULT) if out is None else out
+        dims = vectors.shape[1]
+        if dims not in largest:
+            largest[dims] = candidates.filter(F.size("v") == dims).agg(F.max(F.array_max(F.transform("v", F.abs))).alias("m")).first().m
+        if largest[dims] is not None:
+            # written, so that the plan does not grow with the number of blocks and a finished block stays finished
+            done.append(written(_one_block(candidates, ids, vectors, k, largest[dims]))._written_at)
+    return spark.read.schema(RESULT).parquet(*done) if done else spark.createDataFrame([], RESULT)
 
 
 def _blocks(queries: DataFrame, block: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -112,14 +117,11 @@ def _blocks(queries: DataFrame, block: int) -> Iterator[tuple[np.ndarray, np.nda
             yield np.array([r.vec_id for r in group]), np.array([r.v for r in group], dtype=np.float64)
 
 
-def _one_block(candidates: DataFrame, ids: np.ndarray, vectors: np.ndarray, k: int) -> DataFrame:
+def _one_block(candidates: DataFrame, ids: np.ndarray, vectors: np.ndarray, k: int, most: float) -> DataFrame:
+    """The rows of one block of queries; `most`: the largest size of a candidate's component."""
     spark = candidates.sparkSession
     n = len(ids)
-    dims = vectors.shape[1]
     # no score is larger than the query's sum of sizes times the largest component
-    most = candidates.filter(F.size("v") == dims).agg(F.max(F.array_max(F.transform("v", F.abs))).alias("m")).first().m
-    if most is None:
-        return spark.createDataFrame([], RESULT)
     with np.errstate(over="ignore"):
         reach = np.minimum(np.abs(vectors).sum(axis=1) * most * 1.001 + 1, float(MOST - 1024)).astype(np.int64) + 1024
     low, high = -reach, reach.copy()  # the k-th value is within low..high, or there are fewer than k candidates
