@@ -159,13 +159,18 @@ def core_for(chunks: Chunks, factors: list[np.ndarray]) -> Chunks:
     return bk.ttm_chain(chunks, dict(enumerate(factors)), transpose=True)
 
 
-def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None, init: str | list[np.ndarray] = "st_hosvd", max_sweeps: int = 10, tol: float = 1e-8, target: float | None = None, inner_order: str = "greedy", spectral: str = "auto") -> TuckerModel:
+def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None = None, init: str | list[np.ndarray] = "st_hosvd", max_sweeps: int = 10, tol: float = 1e-8, target: float | None = None, inner_order: str = "greedy", spectral: str = "auto", update_order: tuple[int, ...] | None = None) -> TuckerModel:
     """Alternating refinement at fixed ranks; the residual never rises.
 
+    update_order: in which order a sweep renews the factors; it does not change a sweep's work.
+
     Stops at `target` (relative error), when a sweep gains less than `tol` of the
     energy, or after `max_sweeps`. The core is one product more on the last array.
     """
     spec = chunks.spec
+    modes = tuple(range(spec.order)) if update_order is None else tuple(update_order)
+    if sorted(modes) != list(range(spec.order)):
+        raise ValueError("update_order must name each mode once")
     method = sp.choose_spectral_method(eps, max(spec.dims), bk.GRAM_LIMIT) if spectral == "auto" else spectral
     if isinstance(init, str):
         start = {"st_hosvd": st_hosvd, "t_hosvd": t_hosvd}[init](chunks, eps=eps, ranks=ranks, spectral=spectral)
@@ -182,7 +187,7 @@ def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None
     reason = "max_sweeps"
     held: Chunks | None = None
     for sweep in range(1, max_sweeps + 1):
-        for mode in range(spec.order):
+        for mode in modes:
             others = [m for m in range(spec.order) if m != mode]
             if inner_order == "greedy":
                 others.sort(key=lambda m: -(spec.dims[m] / picked[m]))
@@ -197,7 +202,7 @@ def hooi(chunks: Chunks, eps: float | None = None, ranks: tuple[int, ...] | None
             found = _spectrum(now, mode, method)
             factors[mode], spectra[mode] = found.vectors[:, : picked[mode]], found.values
             trace.append(Step(sweep, mode, "gram", gram_flops(now.spec.dims, mode), time.monotonic() - at))
-        core = materialize(bk.ttm(now, factors[spec.order - 1], spec.order - 1, transpose=True))
+        core = materialize(bk.ttm(now, factors[modes[-1]], modes[-1], transpose=True))
         core_sq = bk.norm_sq(core)
         after = max(total - core_sq, 0.0)
         trace.append(Step(sweep, -1, "fit", 0.0, 0.0, after))

@@ -7,7 +7,7 @@ from corefold.functions import measures as ms
 from corefold.functions import spectrum as sp
 from corefold.functions.tensor import Cells, TensorSpec
 from corefold.operators import block_kernels as bk
-from corefold.operators import decode, prepare
+from corefold.operators import baselines, decode, prepare
 from corefold.operators import decompose as dc
 from corefold.plans import costmodel as cm
 from corefold.plans import planner
@@ -56,6 +56,30 @@ def test_orders_stops_and_inits(ship):
         dc.st_hosvd(chunks)
 
 
+def test_relational_decomposition_agrees(spark, ship):
+    cells = arrays.ship4(spark, "/root/testdata/sf0.01")
+    for options in ({"ranks": (2, 1, 6, 4)}, {"eps": 0.1, "order": (3, 1, 0, 2)}):
+        want = dc.st_hosvd(ship[0], **options)
+        core, factors, error = baselines.relational_st_hosvd(cells, **options)
+        assert abs(error - want.norm_rms) < 1e-7 and core.spec.dims == want.ranks
+        assert all(np.allclose(u @ u.T, w @ w.T, atol=1e-7) for u, w in zip(factors, want.factors, strict=True))
+    with pytest.raises(ValueError, match="ranks or eps"):
+        baselines.relational_st_hosvd(cells)
+
+
+def test_update_order_leaves_the_work_of_a_sweep_unchanged(ship):
+    work, errors = [], []
+    for order in (None, (3, 1, 0, 2), (2, 3, 1, 0)):
+        model = dc.hooi(ship[0], ranks=(2, 1, 6, 4), max_sweeps=1, tol=0.0, update_order=order)
+        work.append(sum(s.flops for s in model.trace if s.sweep == 1))
+        errors.append(model.norm_rms)
+        y = bk.to_array(decode.reconstruct(model))
+        assert abs(np.linalg.norm(ship[1] - y) / np.linalg.norm(ship[1]) - model.norm_rms) < 1e-9
+    assert max(work) == pytest.approx(min(work)) and max(errors) <= 0.091232 + 2e-6
+    with pytest.raises(ValueError, match="each mode once"):
+        dc.hooi(ship[0], ranks=(2, 1, 6, 4), update_order=(0, 0, 1, 2))
+
+
 def test_known_rank_is_recovered_in_any_number_of_modes(spark):
     for dims, ranks in (((9,), (1,)), ((8, 6), (2, 2)), ((6, 5, 4), (2, 3, 2)), ((4, 3, 4, 3, 2), (2, 1, 2, 2, 1))):
         chunks = synthetic.synthetic(spark, dims, ranks, tuple(max(1, d // 2) for d in dims), seed=len(dims))
