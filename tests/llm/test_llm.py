@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from corefold.llm import bpe, debruijn, html_extract, licenses, packing, quality, queries, simhash, suffix, suffix_dedup, topk, windows
+from corefold.llm import anchors, bpe, debruijn, html_extract, licenses, packing, quality, queries, simhash, suffix, suffix_dedup, topk, windows
 
 PATH = queries.bpe_path()
 SCHEMA = "doc_id long, text string, lang string, tid long, part int, _t string, n_words long, n_chars long"
@@ -582,3 +582,34 @@ def test_repeats_in_other_corpora(spark, seed):
     docs = table(spark, rows).repartition(3)
     assert {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in debruijn.remove_repeats(docs).collect()} == brute_words(rows)
     assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(docs).collect()} == brute_bytes(rows)
+
+
+def test_contexts_that_share_only_an_anchor_are_not_sorted(spark):
+    """A phrase too short to repeat leaves nothing open; one of 100 bytes does, on whichever side the anchor lies."""
+    rnd = random.Random(8)
+    noise = lambda n: "".join(rnd.choice("abcdefghij klmnop") for _ in range(n))
+    short, long = noise(60), noise(100)
+    opened = {}
+    for name, phrase in (("short", short), ("long", long)):
+        rows = [(i, noise(300) + phrase + noise(300)) for i in range(20)]
+        docs = spark.createDataFrame(rows, "doc_id long, text string")
+        found = windows.repeated(windows.identified(docs), windows.Spec(100, 32, words=False, by_doc=False), 8)
+        opened[name] = {r.doc_id for r in found.filter("length(open) > 0").collect()}
+        assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(docs).collect()} == brute_bytes(rows)
+    assert opened == {"short": set(), "long": set(range(20))}
+
+
+@pytest.mark.parametrize(("w", "k"), [(100, 32), (50, 12), (8, 3), (9, 9)])
+def test_equal_windows_share_a_side_of_their_anchor(w, k):
+    rnd = np.random.default_rng(w)
+    texts = [bytes(rnd.integers(97, 100, rnd.integers(0, 400)).astype(np.uint8)) for _ in range(40)]
+    texts += [t[rnd.integers(0, 50) :][: rnd.integers(50, 300)] + texts[3][10:60] for t in texts]
+    codes, begin = windows.symbols(texts, False)
+    found, whole = anchors.Anchors(codes, begin, w, k), b"".join(texts)
+    before, after = anchors.sides(found.alt)
+    places = {}
+    for i, (a, b) in enumerate(zip(found.first.tolist(), found.last.tolist(), strict=True)):
+        for s in range(a, b + 1):
+            places.setdefault(whole[s : s + w], []).append(i)
+    pairs = [(own[0], i) for own in places.values() for i in own[1:]]
+    assert pairs and all(found.h[i] == found.h[j] and (before[i] == before[j] > 0 or after[i] == after[j] > 0) for i, j in pairs)
