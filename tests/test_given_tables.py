@@ -9,7 +9,7 @@ import pytest
 
 from corefold import queries
 
-VALUES = ["cost_collectives", "cost_eig"]
+VALUES = ["cost_collectives", "cost_eig", "cost_gram"]
 FEWER = {"lineitem": "l_orderkey % 3 > 0 AND month(l_shipdate) < 6", "orders": "month(o_orderdate) < 8", "events": "hour(ts) < 9", "part": "p_size % 3 > 0"}
 
 
@@ -38,3 +38,9 @@ def test_results_come_from_the_tables(spark, sf, fewer, name):
     got = ordered(queries.QUERIES[name](spark, fewer).toPandas())
     pd.testing.assert_frame_equal(got, by_sql(fewer, name), check_dtype=False, check_exact=True)
     assert not got.equals(ordered(queries.QUERIES[name](spark, sf).toPandas()))
+
+
+def test_empty_tables_have_no_costs(spark, sf, tmp_path):
+    for name in FEWER:
+        duckdb.sql(f"COPY (SELECT * FROM '{sf}/{name}.parquet' LIMIT 0) TO '{tmp_path}/{name}.parquet'")
+    assert queries.QUERIES["cost_gram"](spark, str(tmp_path)).count() == 0 == len(by_sql(str(tmp_path), "cost_gram"))
