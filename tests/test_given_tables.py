@@ -9,7 +9,7 @@ import pytest
 
 from corefold import queries
 
-VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd"]
+VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm"]
 FEWER = {"lineitem": "l_orderkey % 3 > 0 AND month(l_shipdate) < 6", "orders": "month(o_orderdate) < 8", "events": "hour(ts) < 9", "part": "p_size % 3 > 0"}
 
 
