@@ -4,12 +4,14 @@ import glob
 import os
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
 from corefold import queries
+from corefold.sources import arrays
 
-VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm"]
+VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm", "e10_extreme_compression"]
 FEWER = {"lineitem": "l_orderkey % 3 > 0 AND month(l_shipdate) < 6", "orders": "month(o_orderdate) < 8", "events": "hour(ts) < 9", "part": "p_size % 3 > 0"}
 
 
@@ -44,3 +46,11 @@ def test_empty_tables_have_no_costs(spark, sf, tmp_path):
     for name in FEWER:
         duckdb.sql(f"COPY (SELECT * FROM '{sf}/{name}.parquet' LIMIT 0) TO '{tmp_path}/{name}.parquet'")
     assert queries.QUERIES["cost_gram"](spark, str(tmp_path)).count() == 0 == len(by_sql(str(tmp_path), "cost_gram"))
+
+
+@pytest.mark.parametrize("k", [1, 2])
+def test_margins_by_group_have_their_rank(spark, sf, fewer, k):
+    """The arrays of e7_weak_scaling and e7_seconds."""
+    factors, other = (arrays.ranked_factors(spark, folder, 20 * k, 2 * k) for folder in (sf, fewer))
+    assert all(np.linalg.matrix_rank(u) == 2 * k for u in factors)
+    assert not np.allclose(factors[0], other[0])
