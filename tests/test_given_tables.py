@@ -11,7 +11,7 @@ import pytest
 from corefold import queries
 from corefold.sources import arrays
 
-VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm", "e10_extreme_compression", "e12_layout"]
+VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm", "e10_extreme_compression", "e12_layout", "e13_grid_figures"]
 FEWER = {"lineitem": "l_orderkey % 3 > 0 AND month(l_shipdate) < 6", "orders": "month(o_orderdate) < 8", "events": "hour(ts) < 9", "part": "p_size % 3 > 0"}
 
 
