@@ -8,7 +8,7 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from corefold import queries
+from corefold import experiments, queries  # noqa: F401  experiments adds its queries
 from corefold.sources import arrays
 
 VALUES = ["cost_collectives", "cost_eig", "cost_gram", "cost_hooi", "cost_hooi_exact", "cost_sthosvd", "cost_ttm", "e10_extreme_compression", "e12_layout", "e13_grid_figures"]
